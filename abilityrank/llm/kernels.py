@@ -137,15 +137,7 @@ def grams(values: np.ndarray, first: np.ndarray, n: int, base: int = BASES[0]) -
         return np.zeros(0, U64), np.zeros(0, bool)
     cum = cumulative(values, base)
     h = mix((cum[n:] - cum[:-n]) * powers(inverse(base), count))
-    inside = np.ones(count, bool)
-    for d in range(1, n):  # a start within n-1 of a later row's first value crosses into it
-        at = first[1:-1] - d
-        inside[at[(at >= 0) & (at < count)]] = False
-    short = np.diff(first) < n  # rows shorter than n may hold starts beyond their end
-    if short.any():
-        row = np.searchsorted(first, np.arange(count), side="right") - 1
-        inside &= np.arange(count) + n <= first[row + 1]
-    return h, inside
+    return h, within_rows(first, count, n)
 
 
 def sliding_argmin(values: np.ndarray, width: int) -> np.ndarray:
@@ -183,3 +175,54 @@ def merge_intervals(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.
     new = np.concatenate([[True], start[1:] > reach[:-1]])
     heads = np.flatnonzero(new)
     return start[heads], reach[np.concatenate([heads[1:] - 1, [len(reach) - 1]])]
+
+
+@dataclass
+class Anchors:
+    """Runs of windows that share their smallest gram: for each its row, first window and their
+    number, the gram's place from the first window on, the gram's hash and the hash of all it spans."""
+
+    row: np.ndarray
+    start: np.ndarray
+    count: np.ndarray
+    place: np.ndarray
+    gram: np.ndarray
+    span: np.ndarray
+
+
+def within_rows(first: np.ndarray, count: int, n: int) -> np.ndarray:
+    """Whether the n values from each of the starts 0..count-1 lie within one row."""
+    row = np.repeat(np.arange(len(first) - 1), np.diff(first))[:count]
+    return np.arange(count) + n <= first[row + 1]
+
+
+def anchors(v0: np.ndarray, v1: np.ndarray, first: np.ndarray, gram: int, window: int) -> Anchors:
+    """Anchors of all windows of a block.  Equal windows have equal anchors at equal places, whatever
+    stands around them; v0 and v1 are two independent hashes of the values."""
+    count = len(v0) - window + 1
+    if count <= 0 or not (np.diff(first) >= window).any():
+        none = np.zeros(0, np.int64)
+        return Anchors(none, none, none, none, none.view(U64), none.view(U64))
+    c0 = cumulative(v0, BASES[0])
+    g = mix((c0[gram:] - c0[:-gram]) * powers(inverse(BASES[0]), len(v0) - gram + 1))
+    at = sliding_argmin(g, window - gram + 1)
+    valid = within_rows(first, count, window)
+    new = valid.copy()
+    new[1:] &= ~valid[:-1] | (at[1:] != at[:-1]) | np.isin(np.arange(1, count), first)
+    start = np.flatnonzero(new)
+    ends = np.flatnonzero(valid & np.concatenate([new[1:] | ~valid[1:], [True]])) + 1
+    n = ends - start
+    place = at[start] - start
+    row = np.searchsorted(first, start, side="right") - 1
+    c1 = cumulative(v1, BASES[1])
+    span = mix(spans_hash(c1, start, start + n + window - 1, BASES[1]) + place.astype(U64))
+    return Anchors(row, start - first[row], n, place, g[at[start]], span)
+
+
+def byte_values(block: Block, which: int) -> np.ndarray:
+    return _BYTE_VALUES[which][block.data]
+
+
+def row_hashes(values: np.ndarray, first: np.ndarray, base: int = BASES[2]) -> np.ndarray:
+    """One hash of all values of each row."""
+    return spans_hash(cumulative(values, base), first[:-1], first[1:], base)

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import licences, packing, quality_rules, token_store
+from . import fingerprint_index, licences, packing, quality_rules, suffix_dedup, token_store
 from .shared import shared_dir, table
 
 
@@ -16,6 +16,10 @@ def op1_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return store.read(store.lookup(docs), digest=True)
 
 
+def op5_fingerprint_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprint_index.dedup_substrings(table(spark, sf_dir, "documents"))
+
+
 def op6_vector_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -28,5 +32,9 @@ def op9_licence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan_licences(table(spark, sf_dir, "documents")).drop("spans")
 
 
+def op10_induced_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.dedup_bytes(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_store, op6_vector_best_fit, op7_quality_rules, op9_licence_spans)}
+    return {f.__name__: f for f in (op1_token_store, op5_fingerprint_runs, op6_vector_best_fit, op7_quality_rules, op9_licence_spans, op10_induced_suffixes)}
