@@ -8,11 +8,14 @@ texts for which this is not certain are encoded whole.
 from __future__ import annotations
 
 import os
+import unicodedata
 
 import numpy as np
 
 #: Characters that Python or the tokenizers take for white space, other than the space and line end.
 _OTHER_SPACES = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f", "\x85\xa0\u1680\u2028\u2029\u202f\u205f\u3000" + "".join(map(chr, range(0x2000, 0x200B)))
+#: Marks that are cut from a word of letters before them.
+ENDS = ".,"
 _encoders: dict[tuple, "PieceEncoder"] = {}
 
 
@@ -24,6 +27,11 @@ def vocabulary(name: str, folder: str | None = None) -> str:
     return public_tokenizers.path(name)
 
 
+def plain_word(piece: str) -> bool:
+    """Letters only, whatever composing and lower-casing do."""
+    return piece.isalpha() and (piece.isascii() or unicodedata.is_normalized("NFC", piece) and piece.lower().isalpha())
+
+
 class PieceEncoder:
     """ids(texts) -> one uint16 or uint32 array for each text.
 
@@ -38,6 +46,10 @@ class PieceEncoder:
         self.tok = Tokenizer.from_file(path)
         self.dtype = np.uint16 if self.tok.get_vocab_size() <= 1 << 16 else np.uint32
         self.byte_level, self.most, self.kept = byte_level, most, {}
+        self.edge = np.zeros(self.tok.get_vocab_size(), bool)
+        self.edge[[i for t, i in self.tok.get_vocab().items() if (t[:1] == "\u0120" if byte_level else t.endswith("</w>"))]] = True
+        self.line_end = self.tok.token_to_id("\u010a")
+        self.marks = dict(zip(ENDS, self._pieces(list(ENDS))))
 
     def cuttable(self, text: str) -> bool:
         """Whether the tokenizer surely cuts at every space of the text."""
@@ -60,12 +72,21 @@ class PieceEncoder:
         return [np.array(e.ids, self.dtype).tobytes() for e in self.tok.encode_batch(texts, add_special_tokens=False)]
 
     def _pieces(self, pieces: list[str]) -> list[bytes]:
-        """Of many short pieces: one call over all of them, its ids parted by the piece each is of."""
-        got = self.tok.encode(pieces, is_pretokenized=True, add_special_tokens=False)
-        ids = np.array(got.ids, self.dtype)
-        ends = np.cumsum(np.bincount(np.array(got.word_ids, np.int64), minlength=len(pieces))) * ids.itemsize
+        """Of many short pieces of one kind, in one call over all of them."""
+        if self.byte_level and pieces[0][:1] in (" ", "\n"):  # only a piece's first id begins with its space or line end
+            ids = np.array(self.tok.encode_batch_fast(["".join(pieces)], add_special_tokens=False)[0].ids, self.dtype)
+            starts = np.flatnonzero(self.edge[ids] if pieces[0][0] == " " else ids == self.line_end)
+        elif not self.byte_level and plain_word(pieces[0]):  # only a word's last id ends one
+            ids = np.array(self.tok.encode_batch_fast([" ".join(pieces)], add_special_tokens=False)[0].ids, self.dtype)
+            starts = np.concatenate([[0], np.flatnonzero(self.edge[ids])[:-1] + 1])
+        else:
+            got = self.tok.encode(pieces, is_pretokenized=True, add_special_tokens=False)
+            ids = np.array(got.ids, self.dtype)
+            counts = np.bincount(np.array(got.word_ids, np.int64), minlength=len(pieces))
+            starts = np.cumsum(counts) - counts
         raw = ids.tobytes()
-        return [raw[a:b] for a, b in zip([0, *ends[:-1].tolist()], ends.tolist())]
+        starts = (starts * ids.itemsize).tolist()
+        return [raw[a:b] for a, b in zip(starts, [*starts[1:], len(raw)])]
 
     def payloads(self, texts: list[str]) -> list[bytes]:
         """Little-endian ids of each text in the narrowest width."""
@@ -75,28 +96,42 @@ class PieceEncoder:
         lead = " " if self.byte_level else ""
         out: list = [b""] * len(texts)
         whole: list[int] = []
-        later: list[tuple[int, list[str]]] = []
+        later: list[tuple] = []
         missing: dict[str, None] = {}
         for i, text in enumerate(texts):
             if not self.cuttable(text):
                 whole.append(i)
                 continue
-            if lead:  # a line end is a piece too; the first piece of a line has no space before it
-                parts = ("\0" + text.replace("\n", " \n \0")).split(" ")
+            if lead:  # a line end begins a piece, and the text's first has nothing before it
+                parts = ("\0" + text.replace("\n", " \n")).split(" ")
             else:
                 parts = text.replace("\n", " ").split(" ")
             got = list(map(kept.get, parts))
             if None in got:
-                later.append((i, parts))
-                missing.update((p, None) for p, x in zip(parts, got) if x is None)
+                gaps = [k for k, x in enumerate(got) if x is None]
+                later.append((i, parts, got, gaps))
+                for k in gaps:
+                    piece = parts[k]
+                    missing[piece if piece[-1:] not in ENDS or not piece[1:-1].isalpha() else piece[:-1]] = None
             else:
                 out[i] = b"".join(got)
-        asked = list(missing)
-        for lo in range(0, len(asked), 4096):
-            some = asked[lo : lo + 4096]
-            kept.update(zip(some, self._pieces([p.lstrip("\0") if p[:1] in ("\0", "\n") else lead + p for p in some])))
-        for i, parts in later:
-            out[i] = b"".join(map(kept.__getitem__, parts))
+        asked = [p for p in missing if p not in kept]
+        alike = (lambda p: {"\0": 2, "\n": 1}.get(p[:1], 0)) if lead else plain_word
+        kinds: tuple[list[str], ...] = ([], [], [])
+        for p in asked:
+            kinds[alike(p)].append(p)
+        for some in kinds:
+            for lo in range(0, len(some), 4096):
+                part = some[lo : lo + 4096]
+                kept.update(zip(part, self._pieces([p[p[:1] == "\0" :] if some is not kinds[0] or not lead else lead + p for p in part])))
+        for i, parts, got, gaps in later:
+            for k in gaps:
+                piece = parts[k]
+                found = kept.get(piece)
+                if found is None:  # letters and a mark: the tokenizer cuts between them
+                    found = kept[piece] = kept[piece[:-1]] + self.marks[piece[-1]]
+                got[k] = found
+            out[i] = b"".join(got)
         for i, b in zip(whole, self._whole([texts[i] for i in whole]) if whole else ()):
             out[i] = b
         return out
