@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import fingerprint_index, kmeans_tree, licences, packing, quality_rules, suffix_dedup, token_store
+from . import fingerprint_index, kmeans_tree, licences, packing, quality_rules, suffix_dedup, token_store, weighted_minhash
 from .shared import shared_dir, table
 
 
@@ -20,6 +20,10 @@ def op2_kmeans_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kmeans_tree.neighbours(table(spark, sf_dir, "embeddings"))
 
 
+def op4_weighted_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return weighted_minhash.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op5_fingerprint_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_index.dedup_substrings(table(spark, sf_dir, "documents"))
 
@@ -41,4 +45,4 @@ def op10_induced_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_store, op2_kmeans_tree, op5_fingerprint_runs, op6_vector_best_fit, op7_quality_rules, op9_licence_spans, op10_induced_suffixes)}
+    return {f.__name__: f for f in (op1_token_store, op2_kmeans_tree, op4_weighted_minhash, op5_fingerprint_runs, op6_vector_best_fit, op7_quality_rules, op9_licence_spans, op10_induced_suffixes)}
