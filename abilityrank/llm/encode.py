@@ -39,7 +39,7 @@ class PieceEncoder:
     The store of pieces is emptied when it holds ``most`` of them.
     """
 
-    def __init__(self, path: str, byte_level: bool, most: int = 1_000_000):
+    def __init__(self, path: str, byte_level: bool, most: int = 1_400_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -129,7 +129,9 @@ class PieceEncoder:
                 piece = parts[k]
                 found = kept.get(piece)
                 if found is None:  # letters and a mark: the tokenizer cuts between them
-                    found = kept[piece] = kept[piece[:-1]] + self.marks[piece[-1]]
+                    found = kept[piece[:-1]] + self.marks[piece[-1]]
+                    if piece[:-1] not in missing:  # seen before, so worth keeping
+                        kept[piece] = found
                 got[k] = found
             out[i] = b"".join(got)
         for i, b in zip(whole, self._whole([texts[i] for i in whole]) if whole else ()):
