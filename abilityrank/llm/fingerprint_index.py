@@ -214,18 +214,22 @@ class FingerprintIndex:
 OUT = "doc_id long, n_words long, n_removed long, kept_sha256 string"
 
 
-def apply_cuts(docs: DataFrame, cuts: DataFrame, with_text: bool = False) -> DataFrame:
-    """doc_id, n_words, n_removed, kept_sha256 and, if asked for, kept_text; all of docs' rows."""
+def apply_cuts(docs: DataFrame, cuts: DataFrame, with_text: bool = False, extra: list[str] | None = None) -> DataFrame:
+    """doc_id, n_words, n_removed, kept_sha256 and, if asked for, kept_text (the text as it is where
+    nothing is cut) and further columns of docs; all of docs' rows."""
+    extra = extra or []
     per_doc = cuts.groupBy("doc_id").agg(F.collect_list(F.struct("row_key", "start", "end")).alias("_cuts"))
-    joined = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(per_doc, "doc_id", "left").select("doc_id", "text", F.col("_cuts.row_key").alias("k"), F.col("_cuts.start").alias("s"), F.col("_cuts.end").alias("e"))
+    joined = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *extra).join(per_doc, "doc_id", "left").select("doc_id", "text", F.col("_cuts.row_key").alias("_k"), F.col("_cuts.start").alias("_s"), F.col("_cuts.end").alias("_e"), *extra)
 
     def run(batches):
         for batch in batches:
             ids = batch.column(0)
+            more = batch.select(extra).columns if extra else []
             for block in K.text_blocks(batch.column(1)):
                 lo, n = block.rows.start, block.rows.stop - block.rows.start
                 cut = batch.column(2).slice(lo, n)
                 any_cut = cut.is_valid().to_pylist()
+                null = batch.column(1).slice(lo, n).is_null().to_pylist()
                 keys = None
                 n_words, n_removed, sha, kept = [], [], [], []
                 for i in range(n):
@@ -249,15 +253,16 @@ def apply_cuts(docs: DataFrame, cuts: DataFrame, with_text: bool = False) -> Dat
                     n_words.append(len(words))
                     n_removed.append(removed)
                     sha.append(hashlib.sha256(rest).hexdigest())
-                    kept.append(rest.decode() if with_text else None)
-                yield pa.RecordBatch.from_arrays([ids.slice(lo, n), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(sha, pa.string()), *([pa.array(kept, pa.string())] if with_text else [])], ["doc_id", "n_words", "n_removed", "kept_sha256", *(["kept_text"] if with_text else [])])
+                    kept.append(None if not with_text or null[i] else rest.decode() if removed else block.text(i).decode())
+                yield pa.RecordBatch.from_arrays([ids.slice(lo, n), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(sha, pa.string()), *([pa.array(kept, pa.string())] if with_text else []), *(c.slice(lo, n) for c in more)], ["doc_id", "n_words", "n_removed", "kept_sha256", *(["kept_text"] if with_text else []), *extra])
 
-    return joined.mapInArrow(run, OUT + (", kept_text string" if with_text else ""))
+    return joined.mapInArrow(run, OUT + (", kept_text string" if with_text else "") + "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in extra))
 
 
-def dedup_substrings(docs: DataFrame, batches: int = 2, window: int = 50, gram: int = 20, with_text: bool = False) -> DataFrame:
+def dedup_substrings(docs: DataFrame, batches: int = 2, window: int = 50, gram: int = 20, with_text: bool = False, extra: list[str] | None = None) -> DataFrame:
     """The whole table through the index, in batches of ascending doc_id."""
     spark = docs.sparkSession
+    whole = docs
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     shares = [k / batches for k in range(1, batches)]
     bounds = (docs.agg(F.percentile_approx("doc_id", shares, 1000)).first()[0] or []) if shares else []
@@ -273,4 +278,4 @@ def dedup_substrings(docs: DataFrame, batches: int = 2, window: int = 50, gram:
         found = index.ingest(batch)
         cuts = found if cuts is None else cuts.unionByName(found)
     index.compact()
-    return apply_cuts(docs, cuts, with_text)
+    return apply_cuts(whole, cuts, with_text, extra)

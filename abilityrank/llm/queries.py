@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import fingerprint_index, kmeans_tree, licences, packing, quality_rules, suffix_dedup, token_store, weighted_minhash
+from . import cotraining, fingerprint_index, kmeans_tree, licences, merge_dropout, packing, quality_rules, suffix_dedup, token_store, weighted_minhash
 from .shared import shared_dir, table
 
 
@@ -20,6 +20,10 @@ def op2_kmeans_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kmeans_tree.neighbours(table(spark, sf_dir, "embeddings"))
 
 
+def op3_cotraining(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cotraining.score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op4_weighted_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return weighted_minhash.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -36,6 +40,10 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.quality_rules_report(table(spark, sf_dir, "documents"))
 
 
+def op8_merge_dropout(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return merge_dropout.encode_documents(table(spark, sf_dir, "documents"))
+
+
 def op9_licence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan_licences(table(spark, sf_dir, "documents")).drop("spans")
 
@@ -45,4 +53,4 @@ def op10_induced_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_store, op2_kmeans_tree, op4_weighted_minhash, op5_fingerprint_runs, op6_vector_best_fit, op7_quality_rules, op9_licence_spans, op10_induced_suffixes)}
+    return {f.__name__: f for f in (op1_token_store, op2_kmeans_tree, op3_cotraining, op4_weighted_minhash, op5_fingerprint_runs, op6_vector_best_fit, op7_quality_rules, op8_merge_dropout, op9_licence_spans, op10_induced_suffixes)}

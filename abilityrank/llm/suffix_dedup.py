@@ -98,11 +98,9 @@ def _range_min(values: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray
 
 def _aligned(contexts: list[bytes], skip: np.ndarray, width: int) -> np.ndarray:
     """Rows of ``width`` bytes: each context from its skip on, zeros behind its end."""
-    sizes = np.array([len(c) for c in contexts]) - skip
     out = np.zeros((len(contexts), width), np.uint8)
-    data = np.frombuffer(b"".join(contexts), np.uint8)
-    base = np.cumsum(sizes + skip) - sizes
-    out[np.repeat(np.arange(len(contexts)), sizes), K.concat_ranges(np.zeros(len(sizes), np.int64), sizes)] = data[K.concat_ranges(base, sizes)]
+    for i, (c, k) in enumerate(zip(contexts, skip.tolist())):
+        out[i, : len(c) - k] = np.frombuffer(c, np.uint8, -1, k)
     return out
 
 
@@ -130,9 +128,8 @@ def induce(group: np.ndarray, contexts: list[bytes], place: np.ndarray, count: n
     del tails
     most = int(place.max(initial=0))
     heads = np.zeros((n, max(1, most)), np.uint8)  # bytes to the left of the anchor, nearest first
-    data = np.frombuffer(b"".join(contexts), np.uint8)
-    begin = np.cumsum(count + length - 1) - (count + length - 1)
-    heads[np.repeat(np.arange(n), place), K.concat_ranges(np.zeros(n, np.int64), place)] = data[np.repeat(begin + place - 1, place) - K.concat_ranges(np.zeros(n, np.int64), place)]
+    for i, (c, k) in enumerate(zip(contexts, place.tolist())):
+        heads[i, :k] = np.frombuffer(c, np.uint8, k)[::-1]
     found = np.zeros((n, most + 1), bool)  # by distance to the anchor
     for back in range(most + 1):
         if back:
@@ -307,7 +304,7 @@ class ExternalInduction:
         self.scratch.cleanup()
 
 
-def repeated_in_contexts(rows: DataFrame, length: int, memory: int = 16_000) -> DataFrame:
+def repeated_in_contexts(rows: DataFrame, length: int, memory: int = 8_000) -> DataFrame:
     """HITS of contexts sorted by anchor and span; ``memory`` contexts are sorted at a time, and an
     anchor with more goes through files."""
 
@@ -378,7 +375,7 @@ def repeated_in_contexts(rows: DataFrame, length: int, memory: int = 16_000) ->
     return rows.mapInArrow(run, HITS)
 
 
-def repeated_ranges(docs: DataFrame, length: int = 400, gram: int = 100, memory: int = 16_000) -> DataFrame:
+def repeated_ranges(docs: DataFrame, length: int = 400, gram: int = 100, memory: int = 8_000) -> DataFrame:
     """doc_id, row_key, start, end: byte ranges that windows standing twice cover."""
     docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), "text")
     mine = materialise(anchor_rows(docs, length, gram), "anchors")
@@ -436,6 +433,6 @@ def remove_ranges(docs: DataFrame, ranges: DataFrame, with_bytes: bool = False)
     return joined.mapInArrow(run, OUT + (", kept binary" if with_bytes else ""))
 
 
-def dedup_bytes(docs: DataFrame, length: int = 400, gram: int = 100, memory: int = 16_000, with_bytes: bool = False) -> DataFrame:
+def dedup_bytes(docs: DataFrame, length: int = 400, gram: int = 100, memory: int = 8_000, with_bytes: bool = False) -> DataFrame:
     docs = docs.select("doc_id", "text")
     return remove_ranges(docs, repeated_ranges(docs, length, gram, memory), with_bytes)
