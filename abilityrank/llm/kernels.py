@@ -63,7 +63,7 @@ class Block:
         return self.data[self.offsets[i] : self.offsets[i + 1]].tobytes()
 
 
-def text_blocks(column: pa.Array, most_bytes: int = 1 << 20):
+def text_blocks(column: pa.Array, most_bytes: int = 1 << 18):
     """Consecutive rows of a string column in blocks of about ``most_bytes``; nulls are empty.
     A longer text is a block of its own."""
     if isinstance(column, pa.ChunkedArray):

@@ -328,17 +328,15 @@ def repeated_in_contexts(rows: DataFrame, length: int, memory: int = 8_000) -> D
             yield from ranges(gram, span, place, induce(group, list(context), place, count, length))
 
     def large(gram, spans, external):
-        hits: dict[int, list[int]] = {}
-        for item, back in external.finish():
-            for i in item.tolist():
-                hits.setdefault(i, []).append(back)
-        for lo in range(0, len(spans), memory):
-            own = range(lo, min(lo + memory, len(spans)))
-            place = np.array([external.place[i] for i in own], np.int64)
-            hit = np.zeros((len(own), length + 1), bool)
-            for k, i in enumerate(own):
-                hit[k, hits.get(i, [])] = True
-            yield from ranges(np.full(len(own), gram), np.array([spans[i] for i in own]), place, hit)
+        with tempfile.TemporaryFile() as f:  # one byte for each context and distance
+            hit = np.memmap(f, bool, "w+", shape=(len(spans), length + 1))
+            for item, back in external.finish():
+                hit[item, back] = True
+            for lo in range(0, len(spans), memory):
+                own = slice(lo, lo + memory)
+                place = np.array(external.place[own], np.int64)
+                yield from ranges(np.full(len(place), gram), np.array(spans[own]), place, np.array(hit[own]))
+            del hit
 
     def run(batches):
         held: list[tuple] = []  # whole anchors and the one being read
