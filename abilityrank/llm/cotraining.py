@@ -85,16 +85,16 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, l2: float = 1e-3, rounds: int = 1
     m, v = np.zeros_like(w), np.zeros_like(w)
     share = np.where(y == 1, 0.5 / max(y.sum(), 1), 0.5 / max((1 - y).sum(), 1))
     for t in range(1, rounds + 1):
-        p = 1 / (1 + np.exp(-np.clip(x @ w[:-1] + w[-1], -30, 30)))
+        p = 1 / (1 + np.exp(-np.clip(x @ w[:-1].astype(x.dtype) + w[-1], -30, 30)))
         e = (p - y) * share
-        g = np.concatenate([x.T @ e + l2 * w[:-1], [e.sum()]])
+        g = np.concatenate([x.T @ e.astype(x.dtype) + l2 * w[:-1], [e.sum()]])
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         w -= rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-9)
     return w
 
 
 def margin(x: np.ndarray, w: np.ndarray) -> np.ndarray:
-    return x @ w[:-1] + w[-1]
+    return x @ w[:-1].astype(x.dtype) + w[-1]
 
 
 @dataclass
@@ -157,7 +157,7 @@ def _features(docs: DataFrame) -> DataFrame:
     return _with_meta(docs).mapInArrow(run, "doc_id long, x binary, m binary")
 
 
-def train(docs: DataFrame, labels: DataFrame, labelled: int = 4_000, pool: int = 4_000, label: str = "quality", rounds: int = 4) -> CoTrained | None:
+def train(docs: DataFrame, labels: DataFrame, labelled: int = 4_000, pool: int = 2_000, label: str = "quality", rounds: int = 4) -> CoTrained | None:
     ids = labels.where(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y"))
     docs = docs.withColumn("doc_id", F.col("doc_id").cast("long"))
     known = ids.join(docs.select("doc_id"), "doc_id", "left_semi").orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(labelled)

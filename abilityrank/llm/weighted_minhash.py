@@ -30,7 +30,8 @@ from .components import components
 from .shared import materialise
 
 BUCKETS = 1 << 18
-SLOTS = 1 << 16
+SLOTS = 1 << 14
+MOST_TURNS = 4
 _draws: dict[tuple, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
 
 
@@ -301,6 +302,22 @@ def _rest_pairs(rows: DataFrame, least: float, block: int = 2048) -> DataFrame:
     return rows.mapInArrow(run, "a long, b long")
 
 
+def _joined(roots: DataFrame, links: DataFrame) -> DataFrame:
+    """roots (node, root) with the classes that links (a, b) connect made one."""
+    if not links.limit(1).count():
+        return roots
+    at = lambda side: roots.select(F.col("node").alias(side), F.col("root").alias(f"r{side}"))
+    edges = links.join(at("a"), "a").join(at("b"), "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
+    merged = components(edges).select(F.col("node").alias("root"), F.col("root").alias("to"))
+    return materialise(roots.join(merged, "root", "left").select("node", F.coalesce("to", "root").alias("root")), "roots")
+
+
+def _apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
+    """Pairs of texts that are not yet of one class."""
+    at = lambda side: roots.select(F.col("node").alias(side), F.col("root").alias(f"r{side}"))
+    return pairs.join(at("key"), "key").join(at("centre"), "centre").where("rkey <> rcentre").select("key", "centre", "bands")
+
+
 def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows: int = 4, rare: float = 0.01, seed: int = 5) -> DataFrame:
     """doc_id, class_id (the smallest doc_id of its class), class_size; one row for each row."""
     spark = docs.sparkSession
@@ -315,21 +332,30 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows:
     crowded = materialise(member.join(buckets, "band").select("band", "key", "one", (F.xxhash64("key") == F.col("two")).alias("is_two")), "members")
     second = crowded.where("is_two").select("band", F.col("key").alias("two")).dropDuplicates(["band"])
     stars = crowded.select("key", F.col("one").alias("centre")).union(crowded.join(second, "band").select("key", "two"))
-    pairs = materialise(stars.where("key <> centre").select(F.least("key", "centre").alias("a"), F.greatest("key", "centre").alias("b")).distinct(), "pairs")
+    shared = stars.where("key <> centre").groupBy("key", "centre").agg(F.count("*").alias("bands"))
+    pairs = materialise(shared, "pairs")
     # full shingle sets of the texts that are in a crowded bucket
     asked = keyed.join(crowded.select("key").distinct(), "key").groupBy("key").agg(F.min("doc_id").alias("doc_id"))
     texts = _texts(docs).join(asked.select("doc_id").distinct(), "doc_id", "left_semi").select("text")
     packed = materialise(_packed(texts, weights).dropDuplicates(["key"]), "shingles")
-    links = materialise(verified(pairs, packed, least), "links")
-    roots = components(links.select("a", "b"))
+    # each text is held against the centre it shares most bands with; then, again, against the next one
+    # that is not yet of its class: a comparison within a class could not change it
+    roots = materialise(signed.select(F.col("key").alias("node"), F.col("key").alias("root")), "roots")
+    left, turn = pairs, 0
+    while turn < MOST_TURNS and left.limit(1).count():
+        turn += 1
+        best = left.groupBy("key").agg(F.max(F.struct("bands", -F.col("centre"))).alias("m")).select("key", (-F.col("m.col2")).alias("centre")) if turn < MOST_TURNS else left.select("key", "centre")
+        best = materialise(best, "best")
+        links = materialise(verified(best.select(F.least("key", "centre").alias("a"), F.greatest("key", "centre").alias("b")).distinct(), packed, least), "links")
+        roots = _joined(roots, links)
+        left = materialise(_apart(left.join(best, ["key", "centre"], "left_anti"), roots), "pairs")
     # buckets that still hold several classes
-    known = crowded.select("band", "key").join(roots.select(F.col("node").alias("key"), "root"), "key", "left").select("band", "key", F.coalesce("root", "key").alias("root"))
+    known = crowded.select("band", "key").join(roots.select(F.col("node").alias("key"), "root"), "key").select("band", "key", "root")
     split = known.groupBy("band").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("band")
     rest = known.join(split, "band").join(signed.select("key", "samples"), "key").select("band", "root", "key", "samples").repartition("band").sortWithinPartitions("band")
-    more = _rest_pairs(rest, least - 0.15).distinct().join(pairs, ["a", "b"], "left_anti")
-    found = materialise(verified(more, packed, least), "links")
-    if found.limit(1).count():
-        roots = components(links.select("a", "b").union(found.select("a", "b")))
+    done = pairs.select(F.least("key", "centre").alias("a"), F.greatest("key", "centre").alias("b"))
+    more = _rest_pairs(rest, least - 0.15).distinct().join(done, ["a", "b"], "left_anti")
+    roots = _joined(roots, materialise(verified(more, packed, least), "links"))
     placed = keyed.join(roots.select(F.col("node").alias("key"), "root"), "key", "left").select("doc_id", F.coalesce("root", "key").alias("root"))
     least_id = placed.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("class_size"))
     return placed.join(least_id, "root", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("class_size", F.lit(1)).alias("class_size"))
