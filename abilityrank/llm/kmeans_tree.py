@@ -180,7 +180,7 @@ def _ranked(found: DataFrame, k: int) -> DataFrame:
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
-def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec_id", vector: str = "embedding", recall: float = 0.97, sample: int = 20_000, calibration: int = 128, tile: int = 2_048, branching: int = 8, least_leaf: int = 8, rows_a_leaf: int = 96) -> DataFrame:
+def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec_id", vector: str = "embedding", recall: float = 0.95, sample: int = 20_000, calibration: int = 128, tile: int = 2_048, branching: int = 8, least_leaf: int = 8, rows_a_leaf: int = 512) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of each row whose id ``every`` divides."""
     spark = df.sparkSession
     rows = df.select(F.col(id_column).cast("long").alias("id"), F.col(vector).alias("v")).where("id is not null and v is not null")

@@ -54,3 +54,7 @@ def op10_induced_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in (op1_token_store, op2_kmeans_tree, op3_cotraining, op4_weighted_minhash, op5_fingerprint_runs, op6_vector_best_fit, op7_quality_rules, op8_merge_dropout, op9_licence_spans, op10_induced_suffixes)}
+
+
+def oracle_sql() -> dict[str, str]:
+    return {}
