@@ -263,41 +263,63 @@ def verified(pairs: DataFrame, packed: DataFrame, least: float) -> DataFrame:
     return both.mapInArrow(run, "a long, b long, similarity double")
 
 
-def _rest_pairs(rows: DataFrame, least: float, block: int = 2048) -> DataFrame:
-    """rows (band, root, key, samples), sorted by band: pairs of different classes in a bucket whose
-    samples agree enough, compared block by block."""
+def _rest_links(rows: DataFrame, least: float, bands: int, slack: float = 0.15, block: int = 1024) -> DataFrame:
+    """rows (band, at, root, key, samples, shingles, weights), sorted by band: links between texts of
+    different classes in a bucket.  Blocks of texts are held against each other by their samples;
+    pairs that agree in nearly enough of them are verified on the spot, in the first band that both
+    texts share only, so that what leaves a bucket is links and not candidates."""
 
-    def pairs_of(root, key, raw):
+    def links_of(at, root, key, raw, sets):
         samples = np.frombuffer(b"".join(raw), np.uint16).reshape(len(key), -1)
+        width = samples.shape[1]
+        parent: dict[int, int] = {}
+
+        def top(x):
+            while parent.get(x, x) != x:
+                x = parent[x]
+            return x
+
         for i in range(0, len(key), block):
             for j in range(i, len(key), block):
-                same = np.zeros((len(key[i : i + block]), len(key[j : j + block])), np.uint16)
-                for c in range(samples.shape[1]):
+                same = np.zeros((len(key[i : i + block]), len(key[j : j + block])), np.uint8)
+                for c in range(width):
                     same += samples[i : i + block, c, None] == samples[None, j : j + block, c]
-                x, y = np.nonzero((same >= least * samples.shape[1]) & (root[i : i + block, None] != root[None, j : j + block]))
-                a, b = key[i + x], key[j + y]
+                x, y = np.nonzero((same >= (least - slack) * width) & (root[i : i + block, None] != root[None, j : j + block]))
+                agree = same[x, y]
+                x, y = x + i, y + j
                 if i == j:
-                    a, b = a[x < y], b[x < y]
-                if len(a):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+                    once = x < y
+                    x, y, agree = x[once], y[once], agree[once]
+                if not len(x):
+                    continue
+                shared = (samples[x] == samples[y]).reshape(len(x), bands, -1).all(2).argmax(1) == at
+                x, y, agree = x[shared], y[shared], agree[shared]
+                a, b = [], []
+                for k in np.argsort(agree)[::-1].tolist():
+                    p, q = int(x[k]), int(y[k])
+                    u, v = top(int(root[p])), top(int(root[q]))
+                    if u != v and weighted_jaccard(*sets(p), *sets(q)) >= least:
+                        parent[max(u, v)] = min(u, v)
+                        a.append(int(key[p]))
+                        b.append(int(key[q]))
+                if a:
+                    yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    def judged(held):
+        if len(held) > 1:
+            _, at, root, key, raw, shingle, weight = zip(*held)
+            sets = lambda i: (np.frombuffer(shingle[i], np.uint32), np.frombuffer(weight[i], np.float32))
+            yield from links_of(at[0], np.array(root), np.array(key), raw, sets)
 
     def run(batches):
-        held: list[list] = [[], [], []]
-        current = None
+        held: list[tuple] = []
         for batch in batches:
-            band = batch.column(0).to_numpy()
-            cut = np.flatnonzero(np.diff(band)) + 1
-            for lo, hi in zip([0, *cut], [*cut, len(band)]):
-                if hi == lo:
-                    continue
-                if band[lo] != current:
-                    if len(held[1]) > 1:
-                        yield from pairs_of(np.array(held[0]), np.array(held[1]), held[2])
-                    current, held = band[lo], [[], [], []]
-                for c in range(3):
-                    held[c] += batch.column(c + 1).slice(lo, hi - lo).to_pylist()
-        if len(held[1]) > 1:
-            yield from pairs_of(np.array(held[0]), np.array(held[1]), held[2])
+            for row in zip(*(batch.column(c).to_pylist() for c in range(7))):
+                if held and held[-1][0] != row[0]:
+                    yield from judged(held)
+                    held = []
+                held.append(row)
+        yield from judged(held)
 
     return rows.mapInArrow(run, "a long, b long")
 
@@ -327,9 +349,9 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows:
     weights = spark.sparkContext.broadcast(Weights([(r["shingle"], r["df"]) for r in common_shingles(docs, rare, total).collect()] if total else [], max(total, 1), rare))
     signed = signatures(docs, weights, bands, rows, seed).groupBy("key").agg(F.first("samples").alias("samples"), F.first("bands").alias("bands"))
     signed = materialise(signed, "signatures")
-    member = signed.select("key", F.explode("bands").alias("band"))
+    member = signed.select("key", F.posexplode("bands").alias("at", "band"))
     buckets = member.groupBy("band").agg(F.min("key").alias("one"), F.min(F.xxhash64("key")).alias("two"), F.count("*").alias("n")).where("n > 1")
-    crowded = materialise(member.join(buckets, "band").select("band", "key", "one", (F.xxhash64("key") == F.col("two")).alias("is_two")), "members")
+    crowded = materialise(member.join(buckets, "band").select("band", "at", "key", "one", (F.xxhash64("key") == F.col("two")).alias("is_two")), "members")
     second = crowded.where("is_two").select("band", F.col("key").alias("two")).dropDuplicates(["band"])
     stars = crowded.select("key", F.col("one").alias("centre")).union(crowded.join(second, "band").select("key", "two"))
     shared = stars.where("key <> centre").groupBy("key", "centre").agg(F.count("*").alias("bands"))
@@ -350,12 +372,10 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows:
         roots = _joined(roots, links)
         left = materialise(_apart(left.join(best, ["key", "centre"], "left_anti"), roots), "pairs")
     # buckets that still hold several classes
-    known = crowded.select("band", "key").join(roots.select(F.col("node").alias("key"), "root"), "key").select("band", "key", "root")
+    known = crowded.select("band", "at", "key").join(roots.select(F.col("node").alias("key"), "root"), "key").select("band", "at", "key", "root")
     split = known.groupBy("band").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("band")
-    rest = known.join(split, "band").join(signed.select("key", "samples"), "key").select("band", "root", "key", "samples").repartition("band").sortWithinPartitions("band")
-    done = pairs.select(F.least("key", "centre").alias("a"), F.greatest("key", "centre").alias("b"))
-    more = _rest_pairs(rest, least - 0.15).distinct().join(done, ["a", "b"], "left_anti")
-    roots = _joined(roots, materialise(verified(more, packed, least), "links"))
+    rest = known.join(split, "band", "left_semi").join(signed.select("key", "samples"), "key").join(packed, "key").select("band", "at", "root", "key", "samples", "shingles", "weights")
+    roots = _joined(roots, materialise(_rest_links(rest.repartition("band").sortWithinPartitions("band"), least, bands), "links"))
     placed = keyed.join(roots.select(F.col("node").alias("key"), "root"), "key", "left").select("doc_id", F.coalesce("root", "key").alias("root"))
     least_id = placed.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("class_size"))
     return placed.join(least_id, "root", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("class_size", F.lit(1)).alias("class_size"))
