@@ -45,7 +45,7 @@ class Tree:
         todo, n = [(0, np.arange(len(vectors)))], 0
         while todo:
             node, rows = todo.pop()
-            parts = _split(vectors[rows], branching, rounds, rng) if len(rows) > leaf_rows else []
+            parts = _split(vectors[rows], min(branching, -(-len(rows) // leaf_rows)), rounds, rng) if len(rows) > leaf_rows else []
             if len(parts) < 2:
                 leaf[node], n = n, n + 1
                 continue
@@ -218,7 +218,7 @@ def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec
         for batch in batches:
             rows, values = _dense(batch.column(1), width)
             names = batch.column(0).take(pa.array(rows)).to_pylist()
-            leaf, query, vec = [], [], []
+            leaf, query, vec, turn = [], [], [], []
             for q, v, u in zip(names, values, _unit(values) if len(values) else []):
                 seen, gone = 0, 0
                 for x in tree.value.visits(u):
@@ -227,17 +227,13 @@ def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec
                         leaf.append(x)
                         query.append(q)
                         vec.append(v.tobytes())
+                        turn.append(gone)
                     seen, gone = seen + here, gone + 1
                     if gone >= visits and seen > k:
                         break
-            yield pa.RecordBatch.from_arrays([pa.array(leaf, pa.int64()), pa.array(query, pa.int64()), pa.array(vec, pa.binary())], ["leaf", "query_id", "q"])
-
-    walks = materialise(asked.mapInArrow(walk, "leaf long, query_id long, q binary"), "walks")
-    crowd = {r["leaf"]: r["n"] for r in walks.groupBy("leaf").agg(F.count("*").alias("n")).collect()}
-    plan = spark.createDataFrame([(leaf, -(-m // tile), -(-crowd[leaf] // tile)) for leaf, m in sizes.items() if leaf in crowd] or [(-1, 1, 1)], "leaf long, v_parts int, q_parts int")
-    plan = F.broadcast(plan)  # one row a leaf
-    left = placed.join(plan, "leaf").select("leaf", F.pmod(F.xxhash64("vector"), F.col("v_parts")).cast("int").alias("vp"), F.explode(F.sequence(F.lit(0), F.col("q_parts") - 1)).alias("qp"), "vector", "ids")
-    right = walks.join(plan, "leaf").select("leaf", F.explode(F.sequence(F.lit(0), F.col("v_parts") - 1)).alias("vp"), F.pmod(F.xxhash64("query_id"), F.col("q_parts")).cast("int").alias("qp"), "query_id", "q")
+            yield pa.RecordBatch.from_arrays([pa.array(leaf, pa.int64()), pa.array(query, pa.int64()), pa.array(vec, pa.binary()), pa.array(turn, pa.int32())], ["leaf", "query_id", "q", "turn"])
+
+    walks = materialise(asked.mapInArrow(walk, "leaf long, query_id long, q binary, turn int"), "walks")
     out_schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
 
     def meet(vectors: pa.Table, queries: pa.Table) -> pa.Table:
@@ -248,9 +244,24 @@ def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec
             ids.setdefault(raw, []).extend(own)
         names = [sorted(x)[: k + 1] for x in ids.values()]
         scores = cosines(_vectors_of(queries.column("q"), width), np.frombuffer(b"".join(ids), np.float64).reshape(-1, width))
-        out = [(q, i, float(s[j])) for q, s in zip(queries.column("query_id").to_pylist(), scores) for j in _best(s, k + 1) for i in names[j] if i != q]
+        bars = queries.column("bar").to_pylist()
+        out = [(q, i, float(s[j])) for q, bar, s in zip(queries.column("query_id").to_pylist(), bars, scores) for j in _best(s, k + 1) if s[j] >= bar for i in names[j] if i != q]
         return pa.table([pa.array(x, t) for x, t in zip(zip(*out) if out else ([], [], []), out_schema.types)], schema=out_schema)
 
     tiles = ["leaf", "vp", "qp"]
-    found = left.groupBy(*tiles).cogroup(right.groupBy(*tiles)).applyInArrow(meet, "query_id long, vec_id long, score double")
+
+    def met(some: DataFrame) -> DataFrame:
+        """some (leaf, query_id, q, bar) against the vectors of their leaves, in tiles."""
+        crowd = {r["leaf"]: r["n"] for r in some.groupBy("leaf").agg(F.count("*").alias("n")).collect()}
+        plan = spark.createDataFrame([(leaf, -(-m // tile), -(-crowd[leaf] // tile)) for leaf, m in sizes.items() if leaf in crowd] or [(-1, 1, 1)], "leaf long, v_parts int, q_parts int")
+        plan = F.broadcast(plan)  # one row a leaf
+        left = placed.join(plan, "leaf").select("leaf", F.pmod(F.xxhash64("vector"), F.col("v_parts")).cast("int").alias("vp"), F.explode(F.sequence(F.lit(0), F.col("q_parts") - 1)).alias("qp"), "vector", "ids")
+        right = some.join(plan, "leaf").select("leaf", F.explode(F.sequence(F.lit(0), F.col("v_parts") - 1)).alias("vp"), F.pmod(F.xxhash64("query_id"), F.col("q_parts")).cast("int").alias("qp"), "query_id", "q", "bar")
+        return left.groupBy(*tiles).cogroup(right.groupBy(*tiles)).applyInArrow(meet, "query_id long, vec_id long, score double")
+
+    # the nearest leaves first: what the others return must reach the k-th score found there
+    near = materialise(_ranked(met(walks.where("turn < 2").select("leaf", "query_id", "q", F.lit(-2.0).alias("bar"))), k), "near")
+    bars = near.where(F.col("rank") == k).select("query_id", F.col("score").alias("bar"))
+    far = walks.where("turn >= 2").join(bars, "query_id", "left").select("leaf", "query_id", "q", F.coalesce("bar", F.lit(-2.0)).alias("bar"))
+    found = near.select("query_id", "vec_id", "score").unionByName(met(materialise(far, "far")))
     return _ranked(found, k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
