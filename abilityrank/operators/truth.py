@@ -59,10 +59,10 @@ def _invest(rows: DataFrame, scores: DataFrame, power: float, pooled: bool) -> D
     options = stakes.groupBy(*OPTION).agg(F.sum("stake").alias("invested")).withColumn("grown", F.pow("invested", F.lit(power)))
     if pooled:
         item = Window.partitionBy("item_id")
-        options = options.withColumn("value", F.col("invested") * F.col("grown") / F.sum("grown").over(item))
+        options = options.withColumn("value", F.coalesce(F.try_divide(F.col("invested") * F.col("grown"), F.sum("grown").over(item)), F.lit(0.0)))
     else:
         options = options.withColumn("value", F.col("grown"))
-    gains = stakes.join(options, OPTION).groupBy("user_id").agg(F.sum(F.col("value") * F.col("stake") / F.col("invested")).alias("score"))
+    gains = stakes.join(options, OPTION).groupBy("user_id").agg(F.coalesce(F.sum(F.try_divide(F.col("value") * F.col("stake"), F.col("invested"))), F.lit(0.0)).alias("score"))
     return _normalised(gains, "max")
 
 
