@@ -19,6 +19,7 @@ from __future__ import annotations
 import heapq
 import re
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -69,8 +70,43 @@ class MergeModel:
             _models[path] = cls(path)
         return _models[path]
 
-    def unit(self, unit: str, rate: float = 0.0, key: int = 0) -> list[int]:
-        """Ids of one unit; ``key`` seeds the skipped merges."""
+    def _spelt(self, symbols: list[str]) -> list[int]:
+        out = []
+        for x in symbols:
+            piece = self.pieces.get(x)
+            if piece is None:
+                out += [self.bytes[b] for b in x.encode()]
+            else:
+                out.append(piece)
+        return out
+
+    def unit(self, unit: str, rate: float = 0.0, key: int = 0, short: int = 48) -> list[int]:
+        """Ids of one unit; ``key`` seeds the skipped merges.  The agenda of a short unit is a list
+        with one entry for each pair of neighbours, that of a longer one a heap."""
+        bar = int(rate * (1 << 64))
+        if len(unit) > short:
+            return self._spelt(self._merged_by_heap(unit, bar, key))
+        order, none = self.order.get, 1e18
+        symbols, places = list(unit), list(range(len(unit)))
+        agenda = [order(a + b, none) for a, b in zip(symbols, symbols[1:])]
+        while agenda:
+            best = min(agenda)
+            if best == none:
+                break
+            i = agenda.index(best)
+            if bar and ((key ^ (places[i] << 20) ^ int(best)) * 0x9E3779B97F4A7C15 & _MASK) < bar:
+                agenda[i] = none
+                continue
+            one = symbols[i] + symbols.pop(i + 1)
+            symbols[i] = one
+            del agenda[i], places[i + 1]
+            if i < len(agenda):
+                agenda[i] = order(one + symbols[i + 1], none)
+            if i:
+                agenda[i - 1] = order(symbols[i - 1] + one, none)
+        return self._spelt(symbols)
+
+    def _merged_by_heap(self, unit: str, bar: int, key: int) -> list[str]:
         n = len(unit)
         order = self.order
         after = list(range(1, n + 1))
@@ -82,13 +118,12 @@ class MergeModel:
             if o is not None:
                 agenda.append((o, i, i + 2))
         heapq.heapify(agenda)
-        bar = int(rate * (1 << 64))
         while agenda:
-            _, i, stop = heapq.heappop(agenda)
+            best, i, stop = heapq.heappop(agenda)
             j = after[i] if end[i] else n
             if not end[i] or j >= n or end[j] != stop:
                 continue  # one of the two has changed
-            if bar and ((key ^ (i << 20) ^ stop) * 0x9E3779B97F4A7C15 & _MASK) < bar:
+            if bar and ((key ^ (i << 20) ^ int(best)) * 0x9E3779B97F4A7C15 & _MASK) < bar:
                 continue
             end[i], end[j] = stop, 0
             k = after[i] = after[j]
@@ -102,15 +137,7 @@ class MergeModel:
                 o = order.get(unit[h:stop])
                 if o is not None:
                     heapq.heappush(agenda, (o, h, stop))
-        out, i = [], 0
-        while i < n:
-            piece = self.pieces.get(unit[i : end[i]])
-            if piece is None:
-                out += [self.bytes[b] for b in unit[i : end[i]].encode()]
-            else:
-                out.append(piece)
-            i = end[i]
-        return out
+        return [unit[i : end[i]] for i in range(n) if end[i]]
 
     def decode(self, ids) -> str:
         """The text; the space put before its first character goes."""
@@ -119,8 +146,9 @@ class MergeModel:
 
 
 class DropoutEncoder:
-    def __init__(self, path: str | None = None, rate: float = 0.1, seed: int = 42, variants: int = 4, most: int = 500_000):
+    def __init__(self, path: str | None = None, rate: float = 0.1, seed: int = 42, variants: int = 2, most: int = 1_000_000):
         self.model = MergeModel.get(path or vocabulary("piece_bpe_32k.model"))
+        self.salt = _hash(seed)
         self.rate, self.seed, self.variants, self.most = rate, seed, variants, most
         self.breaks_alone = not any("\n" in p for p in self.model.pieces)
         self.kept: list[dict[str, bytes]] = [{} for _ in range(variants)]
@@ -132,12 +160,12 @@ class DropoutEncoder:
             mark = np.uint16(self.model.pieces[part[-1]]).tobytes()
             return (self._make(part[:-1], variant) if base is None else base) + mark
         unit = part if part[:1] == "\n" else SPACE + part
-        key = _hash(self.seed, zlib.crc32(unit.encode()), len(unit), variant)
+        key = ((zlib.crc32(unit.encode()) << 20 ^ len(unit) << 8 ^ variant) * 0xD6E8FEB86659FD93 ^ self.salt) & _MASK
         if unit[:1] == "\n":
             ids = [self.model.bytes[10], *(self.model.unit(unit[1:], self.rate, key) if len(unit) > 1 else [])]
         else:
             ids = self.model.unit(unit, self.rate, key)
-        return np.array(ids, np.uint16).tobytes()
+        return array("H", ids).tobytes()
 
     def payload(self, text: str, doc: int) -> bytes:
         """Ids as little-endian 16-bit integers."""
@@ -181,7 +209,7 @@ class DropoutEncoder:
 _encoders: dict[tuple, DropoutEncoder] = {}
 
 
-def encode_documents(df: DataFrame, path: str | None = None, rate: float = 0.1, seed: int = 42, variants: int = 4, with_ids: bool = False) -> DataFrame:
+def encode_documents(df: DataFrame, path: str | None = None, rate: float = 0.1, seed: int = 42, variants: int = 2, with_ids: bool = False) -> DataFrame:
     """doc_id, n_pieces, ids_crc32 (of 32-bit ids), restored (decoding gives the text back), and ids if asked for."""
 
     def run(batches):
