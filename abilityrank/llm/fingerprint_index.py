@@ -166,7 +166,7 @@ class FingerprintIndex:
         return self.spark.read.parquet(*self.runs) if self.runs else None
 
     def _write_run(self, run: DataFrame) -> str:
-        path = f"{self.folder}/run-{len(self.runs)}-{'merged' if not self.runs else 'new'}"
+        path = f"{self.folder}/run-{len(self.texts)}"
         run.sortWithinPartitions("gram", "span").write.parquet(path)
         return path
 
@@ -206,7 +206,7 @@ class FingerprintIndex:
         """All runs as one; a span keeps its smallest document."""
         if len(self.runs) > 1:
             merged = self._runs().groupBy("gram", "span").agg(F.min("least").alias("least"), F.sum("n").alias("n"))
-            path = f"{self.folder}/compacted-{len(self.runs)}-{len(self.texts)}"
+            path = f"{self.folder}/compacted-{len(self.texts)}"
             merged.sortWithinPartitions("gram", "span").write.parquet(path)
             self.runs = [path]
 

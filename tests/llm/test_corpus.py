@@ -116,10 +116,10 @@ def test_neighbours_against_brute_force(spark):
 
 
 def test_classifier_on_held_out_labels(spark, odd):
-    docs, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    docs, labels = spark.read.parquet("/root/testdata/sf0.1/documents.parquet"), spark.read.parquet("/root/testdata/sf0.1/labels.parquet")
     half = labels.where("doc_id % 2 = 0")
     scored = cotraining.score_documents(docs, half).join(labels.where("doc_id % 2 = 1"), "doc_id").collect()
-    assert sum(r["kept"] == bool(r["quality"]) for r in scored) / len(scored) > 0.93
+    assert sum(r["kept"] == bool(r["quality"]) for r in scored) / len(scored) > 0.97
     model = cotraining.train(docs, half)
     assert sum(model.added) > 0  # views did exchange labels
     assert cotraining.score_documents(odd, half).count() == odd.count()
@@ -151,7 +151,8 @@ def test_components_of_chains_and_stars(spark):
 def test_near_duplicates_against_all_pairs(spark, odd):
     got = {(r["doc_id"]): r["class_id"] for r in weighted_minhash.near_duplicates(odd).collect()}
     assert got[4] == got[5] == got[6] == 4
-    assert all(got[i] == i for i in (0, 1, 2, 3, 7, 8, 10, 11))
+    assert got[7] == got[8] == 7  # the passage with a few words more
+    assert all(got[i] == i for i in (0, 1, 2, 3, 10, 11))
     assert weighted_minhash.near_duplicates(odd).count() == odd.where("doc_id is not null").count()
     assert weighted_minhash.near_duplicates(empty(spark)).count() == 0
     docs = spark.read.parquet(f"{SF}/documents.parquet")
@@ -309,7 +310,8 @@ def test_dropout_encoding(spark, odd):
         assert plain.decode(plain.encode(t, 1)) == loose.decode(loose.encode(t, 1)) == t
         assert "▁" in t or plain.encode(t, 1) == library.encode(t)
         assert loose.encode(t, 1) == merge_dropout.DropoutEncoder(path, 0.3).encode(t, 1)
-    assert loose.encode(texts[4], 1) != loose.encode(texts[4], 2)
+    long = ' '.join(f'{w}tion{i}' for i, w in enumerate(WORDS))
+    assert loose.encode(long, 1) != loose.encode(long, 2)
     rows = merge_dropout.encode_documents(odd).collect()
     assert len(rows) == odd.count() and all(r["restored"] for r in rows)
     assert merge_dropout.encode_documents(empty(spark)).count() == 0
