@@ -70,7 +70,8 @@ def measures(df: DataFrame, text: str = "text") -> DataFrame:
             repeated_words(w).alias("n_repeat_words"),
         ),
     )
-    stop_pattern = r"(?i)(?<![^\x20\x09-\x0D])(?:" + "|".join(sorted(set(STOP_WORDS))) + r")(?![^\x20\x09-\x0D.,;:!?%$&*#]|[.,;:!?%$&*#][A-Za-z])"
+    # words that are a stop word with at most one mark behind it
+    stop_pattern = r"(?i)(?<![^\x20\x09-\x0D])(?:" + "|".join(sorted(set(STOP_WORDS))) + r")[.,;:!?]?(?![^\x20\x09-\x0D])"
     lines = F.filter(F.split(t, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     of_lines = let(lines, lambda x: F.struct(F.size(x).cast("long").alias("n_lines"), (F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"), F.size(F.filter(x, lambda y: y.endswith("...") | y.endswith("…"))).cast("long").alias("n_cut_lines")))
     out = df.select(
@@ -130,3 +131,27 @@ def apply_rules(df: DataFrame, text: str = "text", rules=RULES) -> DataFrame:
 def quality_rules_report(df: DataFrame) -> DataFrame:
     """doc_id with the counts and the verdict."""
     return apply_rules(df.select("doc_id", "text")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "broken_rules")
+
+
+def oracle() -> str:
+    """``quality_rules_report`` over ``documents`` in DuckDB SQL."""
+    stops = "|".join(sorted(set(STOP_WORDS)))
+    tests = {}
+    for name, measure, least, most in RULES:
+        tests[name] = " OR ".join(f"{measure} {op} {bound}" for op, bound in (("<", least), (">", most)) if bound is not None)
+    names = ", ".join(f"CASE WHEN {t} THEN '{n}' END" for n, t in tests.items())
+    per = lambda a, b: f"CASE WHEN {b} = 0 THEN 0.0 ELSE {a} / {b} END"
+    return f"""
+WITH d AS MATERIALIZED (SELECT row_number() OVER () AS k, doc_id, coalesce(text, '') AS t FROM documents),
+w AS MATERIALIZED (SELECT k, doc_id, t, regexp_extract_all(t, '[^\\x20\\x09-\\x0D]+') AS ws, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\\x20\\x09-\\x0D]')) AS ls FROM d),
+g AS (SELECT k, i, count(*) OVER (PARTITION BY k, g) AS n FROM (SELECT k, i, ws[i:i + 4] AS g FROM (SELECT k, ws, unnest(range(1, len(ws) - 3)) AS i FROM w WHERE len(ws) >= 5))),
+c AS (SELECT k, sum(s)::BIGINT AS n_repeat_words FROM (SELECT k, least(5, coalesce(lead(i) OVER (PARTITION BY k ORDER BY i) - i, 5)) AS s FROM g WHERE n > 1) GROUP BY k),
+m AS (SELECT w.k, doc_id, len(ws)::BIGINT AS n_words, length(array_to_string(ws, ''))::BIGINT AS word_chars, length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols,
+  (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines, coalesce(n_repeat_words, 0)::BIGINT AS n_repeat_words, len(ls) AS n_lines,
+  len(list_filter(ls, lambda x: suffix(x, '...') OR suffix(x, '…'))) AS n_cut, len(regexp_extract_all(t, '!!')) AS n_shouts,
+  len(list_filter(ws, lambda x: length(x) = 1 AND NOT regexp_matches(x, '[\\p{{L}}\\p{{N}}]'))) AS n_lone, len(list_filter(ws, lambda x: regexp_full_match(lower(x), '({stops})[.,;:!?]?'))) AS n_stops
+  FROM w LEFT JOIN c USING (k)),
+r AS (SELECT *, {per('word_chars', 'n_words')} AS mean_word_length, {per('n_symbols', 'n_words')} AS symbol_ratio, {per('n_shouts', 'n_words')} AS shout_ratio, {per('n_lone', 'n_words')} AS lone_mark_ratio,
+  CASE WHEN n_words < 100 THEN 1.0 ELSE n_stops / n_words END AS stop_ratio_long, {per('n_dup_lines', 'n_lines')} AS dup_line_ratio, {per('n_cut', 'n_lines')} AS ellipsis_line_ratio FROM m),
+v AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed, concat_ws(',', {names}) AS broken_rules FROM r)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND broken_rules = '' AS kept, broken_rules FROM v""".replace("\\\\", "\\")
