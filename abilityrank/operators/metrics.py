@@ -5,7 +5,7 @@ from __future__ import annotations
 from functools import reduce
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -14,6 +14,11 @@ from . import linalg
 from .rank import global_rank
 
 
+def correlation(x: str, y: str) -> Column:
+    """Pearson's, null where a side is constant (a plain ``corr`` divides by zero in ANSI mode)."""
+    return F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y))
+
+
 def average_ranks(scores: DataFrame, name: str = "r", digits: int = 9) -> DataFrame:
     """user_id and its rank, the mean rank for equal scores; counted by distinct score, so the
     running sum is over distinct scores only, in ranges."""
@@ -24,7 +29,7 @@ def average_ranks(scores: DataFrame, name: str = "r", digits: int = 9) -> DataFr
 
 def spearman_df(predicted: DataFrame, truth: DataFrame, digits: int = 9) -> DataFrame:
     """One row: rho, over the users that both have."""
-    return average_ranks(predicted, "x", digits).join(average_ranks(truth, "y", digits), "user_id").agg(F.corr("x", "y").alias("rho"))
+    return average_ranks(predicted, "x", digits).join(average_ranks(truth, "y", digits), "user_id").agg(correlation("x", "y").alias("rho"))
 
 
 def spearman(predicted: DataFrame, truth: DataFrame, digits: int = 9) -> float | None:
@@ -32,7 +37,7 @@ def spearman(predicted: DataFrame, truth: DataFrame, digits: int = 9) -> float |
 
 
 def pearson(predicted: DataFrame, truth: DataFrame) -> float | None:
-    return predicted.join(truth.select("user_id", F.col("score").alias("truth")), "user_id").agg(F.corr("score", "truth")).first()[0]
+    return predicted.join(truth.select("user_id", F.col("score").alias("truth")), "user_id").agg(correlation("score", "truth")).first()[0]
 
 
 def kendall_df(predicted: DataFrame, truth: DataFrame, most_users: int = 20_000) -> DataFrame:

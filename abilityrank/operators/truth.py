@@ -48,9 +48,14 @@ def option_beliefs(rows: DataFrame, scores: DataFrame, floor: float = 1e-12) ->
     return rows.join(scores, "user_id").groupBy(*OPTION).agg((1.0 - F.exp(miss)).alias("weight"), (-miss).alias("log_odds"))
 
 
-def truthfinder(responses: DataFrame, opts: Opts = Opts(), start: float = 0.9) -> Result:
-    """Trust is the mean belief in the options picked."""
-    return _rounds(responses, start, lambda r, s: written(linalg.user_means(r, option_beliefs(r, s).select(*OPTION, "weight")), "scores"), opts, None)
+def truthfinder(responses: DataFrame, opts: Opts = Opts(), start: float = 0.9, untied: bool = False) -> Result:
+    """Trust is the mean belief in the options picked.  With many choosers beliefs round to 1 and
+    trust ties; ``untied`` gives the mean log-odds of the options in the end, in the same order."""
+    out = _rounds(responses, start, lambda r, s: written(linalg.user_means(r, option_beliefs(r, s).select(*OPTION, "weight")), "scores"), opts, None)
+    if untied:
+        odds = option_beliefs(responses, out.scores).select(*OPTION, F.col("log_odds").alias("weight"))
+        return Result(linalg.user_means(responses, odds), out.rounds)
+    return out
 
 
 def _invest(rows: DataFrame, scores: DataFrame, power: float, pooled: bool) -> DataFrame:

@@ -35,7 +35,9 @@ def method_scores(name: str, responses: DataFrame, key: DataFrame | None = None,
     if name == "graded_estimator":
         return privileged.graded_estimator(responses, order, Opts(rounds=8)).scores
     few = Opts(rounds=10)
-    return {"hits": truth.hits, "truthfinder": truth.truthfinder, "investment": truth.investment, "pooled_investment": truth.pooled_investment}[name](responses, few).scores
+    if name == "truthfinder":
+        return truth.truthfinder(responses, Opts(rounds=4), untied=True).scores
+    return {"hits": truth.hits, "investment": truth.investment, "pooled_investment": truth.pooled_investment}[name](responses, few).scores
 
 
 def _accuracy(spark, experiment, param, value, seed, users, items, model, methods, answered=1.0) -> list[tuple]:

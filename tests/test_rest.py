@@ -127,3 +127,17 @@ def test_late_rows_and_refresh(spark, tmp_path):
     refresher(spark.createDataFrame([(1, "t1", "B")], SCHEMA), 1)
     assert refresher.versions == 2 and refresher.answers.where("user_id = 1 and item_id = 't1'").first()["option_id"] == "B"
     assert refresher.scores.count() == 4
+
+
+def test_sql_table_function(spark):
+    from abilityrank.functions.sql import rank_each, register_sql
+
+    register_sql(spark)
+    both = path_data(spark).withColumn("dataset", F.lit("a")).union(path_data(spark).withColumn("dataset", F.lit("b")))
+    both.createOrReplaceTempView("answers_of_two")
+    rows = spark.sql("SELECT * FROM ability_rank(TABLE(answers_of_two) PARTITION BY (dataset), 'diffprop')").collect()
+    assert len(rows) == 8
+    one = [r["user_id"] for r in sorted(rows, key=lambda r: r["rank"])][::2]
+    assert one in ([1, 2, 3, 4], [4, 3, 2, 1])
+    assert rank_each(both, "dataset", "hits").count() == 8
+    assert spark.sql("SELECT uniform_draw('7|13|42') AS x").first()["x"] == pytest.approx(3223915986953026 / 16**13)
