@@ -39,7 +39,7 @@ class PieceEncoder:
     The store of pieces is emptied when it holds ``most`` of them.
     """
 
-    def __init__(self, path: str, byte_level: bool, most: int = 1_400_000):
+    def __init__(self, path: str, byte_level: bool, most: int = 2_000_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
