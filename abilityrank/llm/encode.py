@@ -12,11 +12,14 @@ import unicodedata
 
 import numpy as np
 
+from .kernels import RELEASE
+
 #: Characters that Python or the tokenizers take for white space, other than the space and line end.
 _OTHER_SPACES = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f", "\x85\xa0\u1680\u2028\u2029\u202f\u205f\u3000" + "".join(map(chr, range(0x2000, 0x200B)))
 #: Marks that are cut from a word of letters before them.
 ENDS = ".,"
 _encoders: dict[tuple, "PieceEncoder"] = {}
+RELEASE.append(_encoders.clear)
 
 
 def vocabulary(name: str, folder: str | None = None) -> str:

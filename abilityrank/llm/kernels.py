@@ -21,6 +21,8 @@ SPACE = np.zeros(256, bool)
 SPACE[[0x20, *range(0x09, 0x0E)]] = True
 
 _powers: dict[int, np.ndarray] = {}
+#: Called before a worker reads texts by blocks: stores that another operator filled in this worker.
+RELEASE: list = []
 
 
 def powers(base: int, n: int) -> np.ndarray:
@@ -66,6 +68,8 @@ class Block:
 def text_blocks(column: pa.Array, most_bytes: int = 1 << 18):
     """Consecutive rows of a string column in blocks of about ``most_bytes``; nulls are empty.
     A longer text is a block of its own."""
+    for empty in RELEASE:
+        empty()
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     if column.null_count:

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .encode import vocabulary
-from .kernels import mix
+from .kernels import RELEASE, mix
 
 SPACE = "▁"
 _UNITS = re.compile(f"{SPACE}+[^{SPACE}]*|[^{SPACE}]+")
@@ -207,6 +207,7 @@ class DropoutEncoder:
 
 
 _encoders: dict[tuple, DropoutEncoder] = {}
+RELEASE.append(_encoders.clear)
 
 
 def encode_documents(df: DataFrame, path: str | None = None, rate: float = 0.1, seed: int = 42, variants: int = 2, with_ids: bool = False) -> DataFrame:
