@@ -153,6 +153,13 @@ class DropoutEncoder:
         self.breaks_alone = not any("\n" in p for p in self.model.pieces)
         self.kept: list[dict[str, bytes]] = [{} for _ in range(variants)]
 
+    @classmethod
+    def get(cls, *key) -> "DropoutEncoder":
+        """One for all tasks of a worker."""
+        if key not in _encoders:
+            _encoders[key] = cls(*key)
+        return _encoders[key]
+
     def _make(self, part: str, variant: int) -> bytes:
         """Of what stands between two spaces; a part that begins with a line end has no space."""
         if part[-1:] in self.model.marks and part[1:-1].isalpha():
@@ -214,10 +221,7 @@ def encode_documents(df: DataFrame, path: str | None = None, rate: float = 0.1,
     """doc_id, n_pieces, ids_crc32 (of 32-bit ids), restored (decoding gives the text back), and ids if asked for."""
 
     def run(batches):
-        key = (path, rate, seed, variants)
-        if key not in _encoders:
-            _encoders[key] = DropoutEncoder(path, rate, seed, variants)
-        encoder = _encoders[key]
+        encoder = DropoutEncoder.get(path, rate, seed, variants)
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
             for lo in range(0, len(ids), 256):
