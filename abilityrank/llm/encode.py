@@ -42,7 +42,7 @@ class PieceEncoder:
     The store of pieces is emptied when it holds ``most`` of them.
     """
 
-    def __init__(self, path: str, byte_level: bool, most: int = 2_000_000):
+    def __init__(self, path: str, byte_level: bool, most: int = 1_000_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -65,10 +65,11 @@ class PieceEncoder:
         return not any(c in text for kinds in _OTHER_SPACES[: 1 if text.isascii() else 2] for c in kinds)
 
     @classmethod
-    def get(cls, path: str, byte_level: bool) -> "PieceEncoder":
-        key = (path, byte_level)
+    def get(cls, path: str, byte_level: bool, most: int = 1_000_000) -> "PieceEncoder":
+        key = (path, byte_level, most)
         if key not in _encoders:
-            _encoders[key] = cls(path, byte_level)
+            _encoders.clear()  # one store a worker
+            _encoders[key] = cls(path, byte_level, most)
         return _encoders[key]
 
     def _whole(self, texts: list[str]) -> list[bytes]:

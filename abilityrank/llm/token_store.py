@@ -32,6 +32,8 @@ from .kernels import concat_ranges, mix
 from .shared import open_fs
 
 NULL_KEY = -(1 << 63)
+#: Pieces whose ids a worker keeps: some hundred bytes each.
+STORED_PIECES = 2_000_000
 
 
 def _level_bits(keys: np.ndarray, level: int, size: int) -> np.ndarray:
@@ -173,7 +175,7 @@ class TokenStore:
         ranged = df.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_KEY)).alias("key"), F.coalesce("text", F.lit("")).alias("text")).repartitionByRange(shards, "key").sortWithinPartitions("key", F.xxhash64("text"))
 
         def encode(batches):
-            encoder = PieceEncoder.get(path, byte_level)
+            encoder = PieceEncoder.get(path, byte_level, STORED_PIECES)
             end = b"" if end_id is None else np.array([end_id], encoder.dtype).tobytes()
             width = np.dtype(encoder.dtype).itemsize
             keys, sizes = [], []
