@@ -1,14 +1,16 @@
 """SentencePiece merge-type encoding with seeded merge dropout, and its decoding.
 
 Encoding starts from characters and keeps an agenda of candidate merges, best score first, then
-leftmost.  A popped candidate is skipped when a keyed hash of (seed, unit, variant, place, length)
-falls below the dropout rate, so segmentations vary from place to place but are the same on every
-run, partition and retry.  With rate 0 the ids are those of the library.
+leftmost.  Each candidate popped is skipped with probability ``rate``, apart from all others: the
+numbers of merges between two skips are geometric draws from a keyed hash of (seed, document, place
+in the text, number of the skip).  So segmentations vary from place to place but are the same on
+every run, partition and retry.  With rate 0 the ids are those of the library.
 
 Pieces never reach over the start of a run of spaces, so texts are encoded unit by unit: spaces
-and the characters after them.  A unit at a place has one of ``variants`` segmentations, chosen by
-a hash of the seed, the document and the place.  Characters that no piece has, and the space
-symbol itself where a text holds it, are spelt in byte pieces; decoding restores every text exactly.
+and the characters after them.  What is kept in a worker is the segmentation of a unit for given
+skips, which is the same wherever it is computed; which skips a place has is drawn at every place.
+Characters that no piece has, and the space symbol itself where a text holds it, are spelt in byte
+pieces; decoding restores every text exactly.
 
 Null texts are empty ones and have no ids.  Rows that repeat a doc_id and text repeat its ids;
 a null doc_id counts as 0 in the hash.  Extra columns are ignored; empty tables give no rows.
@@ -80,33 +82,38 @@ class MergeModel:
                 out.append(piece)
         return out
 
-    def unit(self, unit: str, rate: float = 0.0, key: int = 0, short: int = 48) -> list[int]:
-        """Ids of one unit; ``key`` seeds the skipped merges.  The agenda of a short unit is a list
-        with one entry for each pair of neighbours, that of a longer one a heap."""
-        bar = int(rate * (1 << 64))
+    def unit(self, unit: str, skips: tuple[int, ...] = (), short: int = 48) -> tuple[list[int], int]:
+        """Ids of one unit when the popped candidates numbered ``skips`` (ascending) are skipped, and
+        how many were popped.  The agenda of a short unit is a list with one entry for each pair of
+        neighbours, that of a longer one a heap."""
         if len(unit) > short:
-            return self._spelt(self._merged_by_heap(unit, bar, key))
+            symbols, popped = self._merged_by_heap(unit, skips)
+            return self._spelt(symbols), popped
         order, none = self.order.get, 1e18
-        symbols, places = list(unit), list(range(len(unit)))
+        symbols = list(unit)
         agenda = [order(a + b, none) for a, b in zip(symbols, symbols[1:])]
+        popped, ahead = 0, iter(skips)
+        skip = next(ahead, -1)
         while agenda:
             best = min(agenda)
             if best == none:
                 break
             i = agenda.index(best)
-            if bar and ((key ^ (places[i] << 20) ^ int(best)) * 0x9E3779B97F4A7C15 & _MASK) < bar:
+            popped += 1
+            if popped - 1 == skip:
                 agenda[i] = none
+                skip = next(ahead, -1)
                 continue
             one = symbols[i] + symbols.pop(i + 1)
             symbols[i] = one
-            del agenda[i], places[i + 1]
+            del agenda[i]
             if i < len(agenda):
                 agenda[i] = order(one + symbols[i + 1], none)
             if i:
                 agenda[i - 1] = order(symbols[i - 1] + one, none)
-        return self._spelt(symbols)
+        return self._spelt(symbols), popped
 
-    def _merged_by_heap(self, unit: str, bar: int, key: int) -> list[str]:
+    def _merged_by_heap(self, unit: str, skips: tuple[int, ...]) -> tuple[list[str], int]:
         n = len(unit)
         order = self.order
         after = list(range(1, n + 1))
@@ -118,12 +125,16 @@ class MergeModel:
             if o is not None:
                 agenda.append((o, i, i + 2))
         heapq.heapify(agenda)
+        popped, ahead = 0, iter(skips)
+        skip = next(ahead, -1)
         while agenda:
             best, i, stop = heapq.heappop(agenda)
             j = after[i] if end[i] else n
             if not end[i] or j >= n or end[j] != stop:
                 continue  # one of the two has changed
-            if bar and ((key ^ (i << 20) ^ int(best)) * 0x9E3779B97F4A7C15 & _MASK) < bar:
+            popped += 1
+            if popped - 1 == skip:
+                skip = next(ahead, -1)
                 continue
             end[i], end[j] = stop, 0
             k = after[i] = after[j]
@@ -137,7 +148,7 @@ class MergeModel:
                 o = order.get(unit[h:stop])
                 if o is not None:
                     heapq.heappush(agenda, (o, h, stop))
-        return [unit[i : end[i]] for i in range(n) if end[i]]
+        return [unit[i : end[i]] for i in range(n) if end[i]], popped
 
     def decode(self, ids) -> str:
         """The text; the space put before its first character goes."""
@@ -146,12 +157,16 @@ class MergeModel:
 
 
 class DropoutEncoder:
-    def __init__(self, path: str | None = None, rate: float = 0.1, seed: int = 42, variants: int = 2, most: int = 1_000_000):
+    """Units of at most ``brief`` characters keep their segmentations for all skips met, others without skips only."""
+
+    def __init__(self, path: str | None = None, rate: float = 0.1, seed: int = 42, most: int = 1_000_000, brief: int = 8):
         self.model = MergeModel.get(path or vocabulary("piece_bpe_32k.model"))
-        self.salt = _hash(seed)
-        self.rate, self.seed, self.variants, self.most = rate, seed, variants, most
+        self.rate, self.seed, self.most, self.brief = rate, seed, most, brief
         self.breaks_alone = not any("\n" in p for p in self.model.pieces)
-        self.kept: list[dict[str, bytes]] = [{} for _ in range(variants)]
+        # of parts and of units: ids, how many candidates are popped, and the same by the next skip
+        self.parts: dict[str, list] = {}
+        self.units: dict[str, list] = {}
+        self.held = 0
 
     @classmethod
     def get(cls, *key) -> "DropoutEncoder":
@@ -160,19 +175,62 @@ class DropoutEncoder:
             _encoders[key] = cls(*key)
         return _encoders[key]
 
-    def _make(self, part: str, variant: int) -> bytes:
+    def _gaps(self, keys: np.ndarray, number: int) -> np.ndarray:
+        """How many candidates are popped between the skips ``number`` - 1 and ``number`` of each key."""
+        if self.rate <= 0:
+            return np.full(len(keys), 1 << 40)
+        u = ((mix(keys + np.uint64(number * 0xD6E8FEB86659FD93 & _MASK)) >> np.uint64(11)) + np.uint64(1)) * 2.0**-53
+        with np.errstate(divide="ignore"):
+            return np.minimum(np.log(u) / np.log1p(-min(self.rate, 1.0)), 1 << 40).astype(np.int64)
+
+    def _node(self, unit: str, skips: tuple[int, ...] = ()) -> list:
+        ids, popped = self.model.unit(unit, skips)
+        self.held += 1
+        return [array("H", ids).tobytes(), popped, None]
+
+    def _part(self, part: str) -> list:
         """Of what stands between two spaces; a part that begins with a line end has no space."""
-        if part[-1:] in self.model.marks and part[1:-1].isalpha():
-            base = self.kept[variant].get(part[:-1])
-            mark = np.uint16(self.model.pieces[part[-1]]).tobytes()
-            return (self._make(part[:-1], variant) if base is None else base) + mark
-        unit = part if part[:1] == "\n" else SPACE + part
-        key = ((zlib.crc32(unit.encode()) << 20 ^ len(unit) << 8 ^ variant) * 0xD6E8FEB86659FD93 ^ self.salt) & _MASK
-        if unit[:1] == "\n":
-            ids = [self.model.bytes[10], *(self.model.unit(unit[1:], self.rate, key) if len(unit) > 1 else [])]
-        else:
-            ids = self.model.unit(unit, self.rate, key)
-        return array("H", ids).tobytes()
+        if part[-1:] in self.model.marks and part[1:-1].isalpha() and part[:-1] in self.parts:
+            ids, popped, _ = self.parts[part[:-1]]
+            self.held += 1
+            return [ids + np.uint16(self.model.pieces[part[-1]]).tobytes(), popped, None]
+        return self._node(part if part[:1] == "\n" else SPACE + part)
+
+    def _skipped(self, unit: str, node: list, key: np.uint64, gaps: tuple[int, ...]) -> bytes:
+        """``gaps``: the first ones of the key; the very first is within the node's candidates."""
+        skips, at, number = (), gaps[0], 0
+        while at < node[1]:
+            skips, number = (*skips, at), number + 1
+            if len(unit) > self.brief:
+                ids, popped = self.model.unit(unit, skips)
+                node = [array("H", ids).tobytes(), popped, None]
+            else:
+                if node[2] is None:
+                    node[2] = {}
+                after = node[2].get(at)
+                if after is None:
+                    after = node[2][at] = self._node(unit, skips)
+                node = after
+            at += 1 + (gaps[number] if number < len(gaps) else int(self._gaps(np.array([key], np.uint64), number)[0]))
+        return node[0]
+
+    def _all(self, names: list[str], store: dict[str, list], doc: int, parts: bool) -> list[bytes]:
+        """Ids of the units of a text, each by the skips of its place."""
+        if self.held > self.most:
+            self.parts.clear()
+            self.units.clear()
+            self.held = 0
+        keys = np.arange(len(names), dtype=np.uint64) + np.uint64(_hash(self.seed, doc & _MASK))
+        gaps = [self._gaps(keys, number).tolist() for number in range(4)]
+        nodes = list(map(store.get, names))
+        if None in nodes:
+            for k, x in enumerate(nodes):
+                if x is None:
+                    name = names[k]
+                    nodes[k] = store.get(name)
+                    if nodes[k] is None:
+                        nodes[k] = store[name] = self._part(name) if parts else self._node(name)
+        return [x[0] if g[0] >= x[1] else self._skipped(u if not parts or u[:1] == "\n" else SPACE + u, x, key, g) for u, x, key, g in zip(names, nodes, keys, zip(*gaps))]
 
     def payload(self, text: str, doc: int) -> bytes:
         """Ids as little-endian 16-bit integers."""
@@ -181,30 +239,16 @@ class DropoutEncoder:
         parts = text.replace("\n", " \n").split(" ")
         if SPACE in text or len(parts) > 1 and "" in parts or "\n" in text and not self.breaks_alone:
             return self._by_units(text, doc)
-        places = np.arange(len(parts), dtype=np.uint64) + np.uint64(_hash(self.seed, doc & _MASK))
-        which = (mix(places) % np.uint64(self.variants)).tolist()
-        if sum(map(len, self.kept)) > self.most:
-            for x in self.kept:
-                x.clear()
-        gets = [x.get for x in self.kept]
-        got = [gets[v](u) for u, v in zip(parts, which)]
-        if None in got:
-            for k, x in enumerate(got):
-                if x is None:
-                    part, v = parts[k], which[k]
-                    got[k] = self.kept[v][part] = self._make(part, v)
-        return b"".join(got)
+        return b"".join(self._all(parts, self.parts, doc, True))
 
     def _by_units(self, text: str, doc: int) -> bytes:
         """Texts with runs of spaces, or with the space symbol, which is spelt in bytes."""
-        out, place = [], 0
+        units = []
         for n, run in enumerate(text.split(SPACE)):
-            if n:
-                out += [self.model.bytes[b] for b in SPACE.encode()]
-            for unit in _UNITS.findall(("" if n else SPACE) + run.replace(" ", SPACE)):
-                out += self.model.unit(unit, self.rate, _hash(self.seed, zlib.crc32(unit.encode()), len(unit), doc & _MASK, place))
-                place += 1
-        return np.array(out, np.uint16).tobytes()
+            units += [None] * bool(n) + _UNITS.findall(("" if n else SPACE) + run.replace(" ", SPACE))
+        symbol = np.array([self.model.bytes[b] for b in SPACE.encode()], np.uint16).tobytes()
+        ids = iter(self._all([u for u in units if u is not None], self.units, doc, False))
+        return b"".join(symbol if u is None else next(ids) for u in units)
 
     def encode(self, text: str, doc: int) -> list[int]:
         return np.frombuffer(self.payload(text, doc), np.uint16).tolist()
@@ -217,11 +261,11 @@ _encoders: dict[tuple, DropoutEncoder] = {}
 RELEASE.append(_encoders.clear)
 
 
-def encode_documents(df: DataFrame, path: str | None = None, rate: float = 0.1, seed: int = 42, variants: int = 2, with_ids: bool = False) -> DataFrame:
+def encode_documents(df: DataFrame, path: str | None = None, rate: float = 0.1, seed: int = 42, with_ids: bool = False) -> DataFrame:
     """doc_id, n_pieces, ids_crc32 (of 32-bit ids), restored (decoding gives the text back), and ids if asked for."""
 
     def run(batches):
-        encoder = DropoutEncoder.get(path, rate, seed, variants)
+        encoder = DropoutEncoder.get(path, rate, seed)
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
             for lo in range(0, len(ids), 256):

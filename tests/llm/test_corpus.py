@@ -317,6 +317,28 @@ def test_dropout_encoding(spark, odd):
     assert merge_dropout.encode_documents(empty(spark)).count() == 0
 
 
+def test_dropout_is_drawn_at_every_place():
+    encoder = merge_dropout.DropoutEncoder(rate=0.1)
+    model = encoder.model
+    forms = Counter(encoder.encode("national", doc).__str__() for doc in range(4000))
+    rng = Random(1)  # the same with a draw for every candidate
+    want = Counter(str(model.unit("▁national", tuple(i for i in range(32) if rng.random() < 0.1))[0]) for _ in range(4000))
+    assert len(forms) > 2 and all(abs(forms[x] - want[x]) < 5 * max(want[x], forms[x], 25) ** 0.5 * 2**0.5 for x in {*forms, *want})
+    # places of one text differ too, with runs of spaces as well
+    for text in (" ".join(["national"] * 300), "  ".join(["national"] * 300)):
+        ids = encoder.encode(text, 3)
+        assert len({tuple(x) for x in " ".join(map(str, ids)).split(str(ids[0]))}) > 2 and encoder.decode(ids) == text
+    # what is kept changes nothing
+    texts = ["national international " * 40 + "x.", "a national, b"]
+    want = [merge_dropout.DropoutEncoder(rate=0.3, brief=0).encode(t.strip(), d) for d in range(30) for t in texts]
+    warm = merge_dropout.DropoutEncoder(rate=0.3, brief=99)
+    assert [warm.encode(t.strip(), d) for d in range(30) for t in texts] == want
+    assert len(merge_dropout.DropoutEncoder(rate=1.0).encode("national", 1)) == 9
+    for unit in ("▁national", "▁internationalisation"):
+        for skips in ((), (0,), (1, 3), (0, 1, 2, 5)):
+            assert model.unit(unit, skips) == model.unit(unit, skips, short=0)
+
+
 def brute_licence(text):
     words = licences.scan_words((text or "").encode())
     places = [(i, label) for phrase, label in licences.BASE_PHRASES for p in [phrase.encode().split()] for i in range(len(words) - len(p) + 1) if words[i : i + len(p)] == p]
