@@ -2,14 +2,17 @@
 
 The text view sees what the text is made of (classes of neighbouring characters, hashed words,
 repetition); the metadata view sees language, source and length.  Both start from the labelled
-sample.  In each round each view labels documents of an unlabelled pool; those it is sure of, as
-many of each class as their share allows, join the other view's training set.  Then each view is
-calibrated on labelled documents that no round trained on, and a logistic combination of the two
-calibrated scores, fitted on the same documents, is the score of every document of the table.
-
-Only fitting is on bounded samples: ``labelled`` rows of the labels and ``pool`` unlabelled
-documents, both the first by a hash of doc_id.  A null or empty text has the features of no text;
-null metadata are a value of their own.  Labels that are null or not 0 or 1 are left out.  Without
+sample.  In each round every document outside that sample is scored by both views where it lies, and
+those that one view is sure of teach the other, however many there are: the metadata view is fitted
+on their counts by language, source and length, which say all it can see of them; the text view is
+fitted on blocks of them beside the labelled sample, and the blocks' weights are averaged by their
+numbers of documents.  In each class the labelled sample and the documents a view is given have
+half of the weight each.  Then the views are calibrated together on labelled documents that no round
+trained on, by a logistic combination that is the score of every document of the table.
+
+Only the labels that fitting uses are bounded: ``labelled`` rows, the first by a hash of doc_id;
+documents whose labels are beyond them are exchanged as unlabelled ones are.  A null or empty text
+has the features of no text; null metadata are a value of their own.  Labels that are null or not 0 or 1 are left out.  Without
 labels of both classes every document scores 0.5 and is kept.  Rows that repeat a doc_id are scored
 apart.  Empty tables give no rows.
 """
@@ -79,11 +82,12 @@ def meta_features(lang: list, source: list, n_chars: list) -> np.ndarray:
     return out
 
 
-def fit_logistic(x: np.ndarray, y: np.ndarray, l2: float = 1e-3, rounds: int = 120, rate: float = 0.2) -> np.ndarray:
+def fit_logistic(x: np.ndarray, y: np.ndarray, l2: float = 1e-3, rounds: int = 120, rate: float = 0.2, weight: np.ndarray | None = None, start: np.ndarray | None = None) -> np.ndarray:
     """Weights and, last, the intercept; classes count alike."""
-    w = np.zeros(x.shape[1] + 1, np.float64)
+    w = np.zeros(x.shape[1] + 1, np.float64) if start is None else start.astype(np.float64)
     m, v = np.zeros_like(w), np.zeros_like(w)
-    share = np.where(y == 1, 0.5 / max(y.sum(), 1), 0.5 / max((1 - y).sum(), 1))
+    share = np.ones(len(y)) if weight is None else weight
+    share = share * np.where(y == 1, 0.5 / max(share[y == 1].sum(), 1e-9), 0.5 / max(share[y != 1].sum(), 1e-9))
     for t in range(1, rounds + 1):
         p = 1 / (1 + np.exp(-np.clip(x @ w[:-1].astype(x.dtype) + w[-1], -30, 30)))
         e = (p - y) * share
@@ -93,6 +97,16 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, l2: float = 1e-3, rounds: int = 1
     return w
 
 
+def halves(y: np.ndarray, given: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Weights of labelled rows and then of given ones, each half of their class where it has both."""
+    weight = np.concatenate([np.ones(len(y)), counts.astype(np.float64)])
+    label, own = np.concatenate([y, given]), np.arange(len(weight)) < len(y)
+    for c in (0, 1):
+        for part in (own, ~own):
+            weight[part & (label == c)] /= max(weight[part & (label == c)].sum(), 1e-9)
+    return weight
+
+
 def margin(x: np.ndarray, w: np.ndarray) -> np.ndarray:
     return x @ w[:-1].astype(x.dtype) + w[-1]
 
@@ -102,7 +116,7 @@ class CoTrained:
     text: np.ndarray
     meta: np.ndarray
     scale: np.ndarray  # of the two margins, and the intercept
-    added: tuple[int, int]  # pseudo-labels that the text and metadata views received
+    added: tuple[int, int]  # pseudo-labels that the text and metadata views received, of all rounds
 
     def score(self, text: np.ndarray, meta: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         a, b = np.clip(margin(text, self.text), -20, 20), np.clip(margin(meta, self.meta), -20, 20)
@@ -110,34 +124,6 @@ class CoTrained:
         return sure(self.scale[0] * a + self.scale[1] * b + self.scale[2]), sure(a), sure(b)
 
 
-def co_train(text: np.ndarray, meta: np.ndarray, y: np.ndarray, held: np.ndarray, pool_text: np.ndarray, pool_meta: np.ndarray, rounds: int = 4, sure: float = 0.95, per_round: int = 200) -> CoTrained | None:
-    """held: labelled rows for calibration only."""
-    if len(set(y[~held].tolist())) < 2:
-        return None
-    views = [[text, pool_text], [meta, pool_meta]]
-    x, labels = [v[0][~held] for v in views], [y[~held].astype(np.float64)] * 2
-    free = [np.ones(len(pool_text), bool), np.ones(len(pool_text), bool)]  # still to be given to a view
-    share = float(y[~held].mean())
-    added = [0, 0]
-    for _ in range(rounds):
-        fitted = [fit_logistic(x[v], labels[v], rounds=60) for v in (0, 1)]
-        for teacher, learner in ((0, 1), (1, 0)):
-            p = 1 / (1 + np.exp(-np.clip(margin(views[teacher][1], fitted[teacher]), -30, 30)))
-            for label, certainty, n in ((1.0, p, per_round * share), (0.0, 1 - p, per_round * (1 - share))):
-                best = np.flatnonzero(free[learner] & (certainty >= sure))
-                best = best[np.argsort(-certainty[best], kind="stable")][: max(1, round(n))]
-                if len(best):
-                    x[learner] = np.concatenate([x[learner], views[learner][1][best]])
-                    labels[learner] = np.concatenate([labels[learner], np.full(len(best), label)])
-                    free[learner][best] = False
-                    added[learner] += len(best)
-    model = CoTrained(fit_logistic(x[0], labels[0]), fit_logistic(x[1], labels[1]), np.array([1.0, 0.0, 0.0]), (added[0], added[1]))
-    if len(set(y[held].tolist())) == 2:
-        z = np.stack([np.clip(margin(text[held], model.text), -20, 20), np.clip(margin(meta[held], model.meta), -20, 20)], 1)
-        model.scale = fit_logistic(z, y[held].astype(np.float64), l2=1e-2)
-    return model
-
-
 META = ["lang", "source", "n_chars"]
 
 
@@ -157,15 +143,77 @@ def _features(docs: DataFrame) -> DataFrame:
     return _with_meta(docs).mapInArrow(run, "doc_id long, x binary, m binary")
 
 
-def train(docs: DataFrame, labels: DataFrame, labelled: int = 4_000, pool: int = 2_000, label: str = "quality", rounds: int = 4) -> CoTrained | None:
+CELLS = 16 * 64 * 20
+BLOCK = 8192  # documents that the text view is fitted on at once, beside the labelled sample
+
+
+def cells_of(meta: np.ndarray) -> np.ndarray:
+    """The number of each row's language, source and length together."""
+    return (meta[:, :16].argmax(1) * 64 + meta[:, 16:80].argmax(1)) * 20 + meta[:, 80:].argmax(1)
+
+
+def cell_features(cell: np.ndarray) -> np.ndarray:
+    out, at = np.zeros((len(cell), META_WIDTH), np.float32), np.arange(len(cell))
+    out[at, cell // 1280] = out[at, 16 + cell // 20 % 64] = out[at, 80 + cell % 20] = 1
+    return out
+
+
+def exchange(others: DataFrame, x: np.ndarray, y: np.ndarray, text: np.ndarray, meta: np.ndarray, sure: float) -> tuple[np.ndarray, int, np.ndarray]:
+    """One round over all rows of ``others``: (text weights, documents the text view was given,
+    counts of the documents the metadata view is given by label and cell)."""
+    sent = others.sparkSession.sparkContext.broadcast((text, meta, x.astype(np.float16), y))
+    row = lambda w, n, counts: pa.RecordBatch.from_arrays([pa.array([w.tobytes()], pa.binary()), pa.array([n], pa.int64()), pa.array([np.flatnonzero(counts).tobytes()], pa.binary()), pa.array([counts[counts > 0].tobytes()], pa.binary())], ["w", "n", "cell", "count"])
+    schema = "w binary, n long, cell binary, count binary"
+
+    def run(batches):
+        text, meta, own, own_y = sent.value
+        summed, n, counts = np.zeros(len(text)), 0, np.zeros(2 * CELLS, np.int64)
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+
+        def fitted():
+            given = np.concatenate([h[1] for h in held])
+            both = np.concatenate([own, *(h[0] for h in held)]).astype(np.float32)
+            return len(given) * fit_logistic(both, np.concatenate([own_y, given]), rounds=20, rate=0.05, weight=halves(own_y, given, np.ones(len(given))), start=text), len(given)
+
+        for batch in batches:
+            m = meta_features(*(batch.column(c).to_pylist() for c in (2, 3, 4)))
+            for block in K.text_blocks(batch.column(1)):
+                f, g = text_features(block), m[block.rows]
+                a, b = (1 / (1 + np.exp(-np.clip(z, -30, 30))) for z in (margin(f, text), margin(g, meta)))
+                told = np.maximum(a, 1 - a) >= sure
+                counts += np.bincount(cells_of(g[told]) + CELLS * (a[told] > 0.5), minlength=2 * CELLS)
+                told = np.maximum(b, 1 - b) >= sure
+                held.append((f[told].astype(np.float16), (b[told] > 0.5).astype(np.float64)))
+                if sum(len(h[1]) for h in held) >= BLOCK:
+                    w, k = fitted()
+                    summed, n, held = summed + w, n + k, []
+        if sum(len(h[1]) for h in held):
+            w, k = fitted()
+            summed, n = summed + w, n + k
+        yield row(summed, n, counts)
+
+    def add_up(batches):
+        summed, n, counts = np.zeros(len(text)), 0, np.zeros(2 * CELLS, np.int64)
+        for batch in batches:
+            for w, k, cell, count in zip(*(batch.column(c).to_pylist() for c in range(4))):
+                summed, n = summed + np.frombuffer(w), n + k
+                counts[np.frombuffer(cell, np.int64)] += np.frombuffer(count, np.int64)
+        yield row(summed, n, counts)
+
+    summed, n, counts = np.zeros(len(text)), 0, np.zeros(2 * CELLS, np.int64)
+    for r in others.mapInArrow(run, schema).repartition(8).mapInArrow(add_up, schema).collect():  # 8 rows
+        summed, n = summed + np.frombuffer(r["w"]), n + r["n"]
+        counts[np.frombuffer(r["cell"], np.int64)] += np.frombuffer(r["count"], np.int64)
+    return (summed / n if n else text), n, counts
+
+
+def train(docs: DataFrame, labels: DataFrame, labelled: int = 4_000, label: str = "quality", rounds: int = 4, sure: float = 0.95) -> CoTrained | None:
     ids = labels.where(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y"))
     docs = docs.withColumn("doc_id", F.col("doc_id").cast("long"))
     known = ids.join(docs.select("doc_id"), "doc_id", "left_semi").orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(labelled)
     known = docs.sparkSession.createDataFrame(known.collect(), known.schema)  # bounded by ``labelled``
-    other = docs.select("doc_id").where("doc_id is not null").join(ids.select("doc_id"), "doc_id", "left_anti").orderBy(F.xxhash64("doc_id"), "doc_id").limit(pool)
-    other = docs.sparkSession.createDataFrame(other.collect(), other.schema)  # bounded by ``pool``
-    wanted = F.broadcast(known.unionByName(other.withColumn("y", F.lit(None).cast("int"))).distinct())
-    found = _features(docs.join(wanted.select("doc_id").distinct(), "doc_id", "left_semi")).toArrow()
+    wanted = F.broadcast(known.select("doc_id").distinct())
+    found = _features(docs.join(wanted, "doc_id", "left_semi")).toArrow()
     if not found.num_rows:
         return None
     x = np.frombuffer(b"".join(found.column("x").to_pylist()), np.float16).reshape(-1, TEXT_WIDTH).astype(np.float32)
@@ -174,10 +222,24 @@ def train(docs: DataFrame, labels: DataFrame, labelled: int = 4_000, pool: int =
     order = np.argsort(doc, kind="stable")
     doc, x, m = doc[order], x[order], m[order]
     y_of = {r["doc_id"]: r["y"] for r in known.collect()}
-    y = np.array([y_of.get(d, -1) for d in doc.tolist()])
-    lab = y >= 0
-    held = K.mix(doc[lab].view(np.uint64)) % np.uint64(4) == 0
-    return co_train(x[lab], m[lab], y[lab], held, x[~lab], m[~lab], rounds)
+    y = np.array([y_of[d] for d in doc.tolist()])
+    held = K.mix(doc.view(np.uint64)) % np.uint64(4) == 0
+    if len(set(y[~held].tolist())) < 2:
+        return None
+    own_x, own_m, own_y = x[~held], m[~held], y[~held].astype(np.float64)
+    text, meta, added = fit_logistic(own_x, own_y), fit_logistic(own_m, own_y), [0, 0]
+    others = _with_meta(docs.join(wanted, "doc_id", "left_anti"))
+    for _ in range(rounds):
+        text, n, counts = exchange(others, own_x, own_y, text, meta, sure)
+        at = np.flatnonzero(counts)
+        given = (at >= CELLS).astype(np.float64)
+        meta = fit_logistic(np.concatenate([own_m, cell_features(at % CELLS)]), np.concatenate([own_y, given]), weight=halves(own_y, given, counts[at]))
+        added = [added[0] + n, added[1] + int(counts.sum())]
+    model = CoTrained(text, meta, np.array([1.0, 0.0, 0.0]), (added[0], added[1]))
+    if len(set(y[held].tolist())) == 2:
+        z = np.stack([np.clip(margin(x[held], text), -20, 20), np.clip(margin(m[held], meta), -20, 20)], 1)
+        model.scale = fit_logistic(z, y[held].astype(np.float64), l2=1e-2)
+    return model
 
 
 def _scored(batch: pa.RecordBatch, model: CoTrained | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -129,6 +129,15 @@ def test_classifier_on_held_out_labels(spark, odd):
     assert kept.columns == docs.columns and 0 < kept.count() < docs.count()
 
 
+def test_views_exchange_labels_on_the_whole_table(spark):
+    docs, labels = spark.read.parquet("/root/testdata/sf0.1/documents.parquet"), spark.read.parquet("/root/testdata/sf0.1/labels.parquet").where("doc_id % 2 = 0")
+    n = docs.count()
+    many = docs.withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(1)))).withColumn("doc_id", F.col("doc_id") + F.col("k") * 10_000_000)
+    one, two = (cotraining.train(x, labels, labelled=500, rounds=1).added for x in (docs, many))
+    # more than any fixed pool or quota, also of labelled rows beyond the bound; each copy is exchanged again
+    assert one[1] > 0.5 * (n - 500) and two[1] >= one[1] + 0.5 * n
+
+
 def test_consistent_sampling_estimates_weighted_jaccard():
     rng = np.random.default_rng(2)
     h = rng.integers(0, 1 << 62, 400).astype(np.uint64)
