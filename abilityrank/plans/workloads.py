@@ -22,14 +22,22 @@ UNPRIVILEGED = ("diffprop", "fiedler", "hits", "truthfinder", "investment", "poo
 RANGES = ((-1.0, 0.0), (-0.75, 0.25), (-0.5, 0.5), (-0.25, 0.75), (0.0, 1.0), (0.25, 1.25), (0.5, 1.5))
 
 
+def _direct_or_power(direct, power, responses: DataFrame, opts: Opts) -> DataFrame:
+    """Beyond the guard of the quadratic variant its scalable twin, so that every size has scores."""
+    try:
+        return direct(responses, opts).scores
+    except SizeGuardError:
+        return power(responses, opts).scores
+
+
 def method_scores(name: str, responses: DataFrame, key: DataFrame | None = None, order: DataFrame | None = None, opts: Opts = Opts()) -> DataFrame:
     """Scores of a method by name; the spectral ones are oriented by entropy."""
     if name == "diffprop":
-        return orient.orient_by_entropy(responses, spectral.diffprop_direct(responses, opts).scores)[0]
+        return orient.orient_by_entropy(responses, _direct_or_power(spectral.diffprop_direct, spectral.diffprop_power, responses, opts))[0]
     if name == "diffprop_power":
         return orient.orient_by_entropy(responses, spectral.diffprop_power(responses, opts).scores)[0]
     if name == "fiedler":
-        return orient.orient_by_entropy(responses, fiedler.fiedler_direct(responses, opts).scores)[0]
+        return orient.orient_by_entropy(responses, _direct_or_power(fiedler.fiedler_direct, fiedler.fiedler_power, responses, opts))[0]
     if name == "true_answer":
         return truth.true_answer(responses, key)
     if name == "graded_estimator":
@@ -114,10 +122,7 @@ def without_truth(spark: SparkSession, d: str, sets=("R1", "R3", "R6"), methods=
         data = written(rsets.rset(spark, d, name), "set")
         proxy = truth.true_answer(data, truth.majority_key(data))
         for m in methods:
-            try:
-                scores = written(method_scores(m, data), "scores")
-            except SizeGuardError:
-                continue
+            scores = written(method_scores(m, data), "scores")
             rho = metrics.spearman(scores, proxy)
             rows.append((name, m, "set", float(i), 42, "spearman", float(rho) if rho is not None and not math.isnan(rho) else 0.0))
             if name == "R6":

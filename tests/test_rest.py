@@ -7,6 +7,7 @@ from abilityrank.functions import response_models as M
 from abilityrank.functions.draws import uniform_draw
 from abilityrank.model import Opts
 from abilityrank.operators import components, generate, metrics, privileged, truth
+from abilityrank.plans import workloads
 from abilityrank.sources import rsets
 
 from fixtures import ROWS, SCHEMA, path_data
@@ -141,3 +142,10 @@ def test_sql_table_function(spark):
     assert one in ([1, 2, 3, 4], [4, 3, 2, 1])
     assert rank_each(both, "dataset", "hits").count() == 8
     assert spark.sql("SELECT uniform_draw('7|13|42') AS x").first()["x"] == pytest.approx(3223915986953026 / 16**13)
+
+
+@pytest.mark.parametrize("method", ["diffprop", "fiedler"])
+def test_experiments_have_scores_beyond_the_guard(spark, method):
+    r = path_data(spark)
+    got = workloads.method_scores(method, r, opts=Opts(max_users=3, max_iter=2)).collect()
+    assert sorted(x["user_id"] for x in got) == [1, 2, 3, 4] and all(np.isfinite(x["score"]) for x in got)
