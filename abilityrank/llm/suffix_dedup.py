@@ -3,6 +3,8 @@
 A string of ``length`` bytes that stands twice has, at both places, the same anchor: the run of
 ``gram`` bytes inside it with the smallest hash.  So only anchors that occur more than once matter.
 All text positions whose windows share an anchor form a context: the bytes those windows span.
+Whole contexts that are equal are found by their 64-bit hash; only anchors with several different
+contexts go through the induction, with one context of each hash.
 
 The suffixes of an anchor's contexts are sorted by induction.  First the suffixes that begin at the
 anchor are sorted with their longest common prefixes.  Then each round goes one byte to the left:
