@@ -2,11 +2,11 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from abilityrank import model
+from abilityrank import model, queries
 from abilityrank.functions import response_models as M
 from abilityrank.functions.draws import uniform_draw
 from abilityrank.model import Opts
-from abilityrank.operators import components, generate, metrics, privileged, truth
+from abilityrank.operators import components, generate, metrics, privileged, spectral, truth
 from abilityrank.plans import workloads
 from abilityrank.sources import rsets
 
@@ -149,3 +149,15 @@ def test_experiments_have_scores_beyond_the_guard(spark, method):
     r = path_data(spark)
     got = workloads.method_scores(method, r, opts=Opts(max_users=3, max_iter=2)).collect()
     assert sorted(x["user_id"] for x in got) == [1, 2, 3, 4] and all(np.isfinite(x["score"]) for x in got)
+
+
+def test_graded_estimates_fit_every_item_to_tolerance(spark, monkeypatch):
+    seen = {}
+
+    def note(responses, order, opts):
+        seen["items"], seen["opts"] = [x.select("item_id").distinct().count() for x in (responses, order)], opts
+        return spectral.Result(responses.select("user_id", F.lit(0.0).alias("score")).distinct(), 0)
+
+    monkeypatch.setattr(privileged, "graded_estimator", note)
+    queries.QUERIES["graded_estimates"](spark, SF)
+    assert seen["items"] == [queries._items(spark, SF).count()] * 2 and seen["opts"].rounds is None
