@@ -1,6 +1,7 @@
 """Corpus operators against brute force on small tables, with nulls, ties, repeats and odd columns."""
 
 import hashlib
+import re
 import zlib
 from collections import Counter, defaultdict
 from random import Random
@@ -331,21 +332,38 @@ def test_dropout_is_drawn_at_every_place():
     model = encoder.model
     forms = Counter(encoder.encode("national", doc).__str__() for doc in range(4000))
     rng = Random(1)  # the same with a draw for every candidate
-    want = Counter(str(model.unit("▁national", tuple(i for i in range(32) if rng.random() < 0.1))[0]) for _ in range(4000))
+    want = Counter(str([model.pieces[s] for s in model.unit("▁national", tuple(i for i in range(32) if rng.random() < 0.1))]) for _ in range(4000))
     assert len(forms) > 2 and all(abs(forms[x] - want[x]) < 5 * max(want[x], forms[x], 25) ** 0.5 * 2**0.5 for x in {*forms, *want})
     # places of one text differ too, with runs of spaces as well
     for text in (" ".join(["national"] * 300), "  ".join(["national"] * 300)):
         ids = encoder.encode(text, 3)
         assert len({tuple(x) for x in " ".join(map(str, ids)).split(str(ids[0]))}) > 2 and encoder.decode(ids) == text
-    # what is kept changes nothing
-    texts = ["national international " * 40 + "x.", "a national, b"]
-    want = [merge_dropout.DropoutEncoder(rate=0.3, brief=0).encode(t.strip(), d) for d in range(30) for t in texts]
-    warm = merge_dropout.DropoutEncoder(rate=0.3, brief=99)
-    assert [warm.encode(t.strip(), d) for d in range(30) for t in texts] == want
     assert len(merge_dropout.DropoutEncoder(rate=1.0).encode("national", 1)) == 9
-    for unit in ("▁national", "▁internationalisation"):
-        for skips in ((), (0,), (1, 3), (0, 1, 2, 5)):
-            assert model.unit(unit, skips) == model.unit(unit, skips, short=0)
+
+
+@pytest.mark.parametrize("rate", [0.1, 0.5])
+def test_agendas_side_by_side_equal_one_agenda_a_unit(spark, odd, rate, monkeypatch):
+    """Each unit's segmentation is that of its own agenda, with the skips of its document and place."""
+    encoder = merge_dropout.DropoutEncoder(rate=rate)
+    model = encoder.model
+    step = np.uint64(0x9E3779B97F4A7C15)
+
+    def brute(text, doc):
+        out, base = [], np.uint64(merge_dropout._hash(encoder.seed, doc))
+        for place, unit in enumerate(re.findall(r" +[^ \n]*|\n[^ \n]*", " " + text) if text else []):
+            key = merge_dropout.mix(np.array([base + np.uint64(place * int(step) & (1 << 64) - 1)], np.uint64))[0]
+            for s in model.unit(unit.replace("▁", "\0").replace(" ", "▁"), encoder._skips(key)):
+                out += [model.pieces[s]] if s in model.pieces else model.bytes[list(s.replace("\0", "▁").encode())].tolist()
+        return out
+
+    assert model.breaks_alone
+    texts = [t or "" for _, t in as_rows(odd)] + [t for _, t in as_rows(spark.read.parquet(f"{SF}/documents.parquet").limit(60)) if t]
+    texts += ["a▁b  c\n\nd", "national" * 30 + " x" * 9, "\U0001F600 é漢字" * 40]
+    want = [brute(t, d) for d, t in enumerate(texts)]
+    for block in (1 << 18, 500):  # texts longer than a block are encoded in parts
+        monkeypatch.setattr(merge_dropout, "BLOCK", block)
+        got = [ids[s:e].tolist() for _, _, ids, begin in encoder.encode_texts(texts, list(range(len(texts)))) for s, e in zip(begin, begin[1:])]
+        assert got == want
 
 
 def brute_licence(text):
