@@ -2,6 +2,8 @@
 
     SELECT * FROM ability_rank(TABLE(answers) PARTITION BY (dataset), 'diffprop')
 
+Methods are those of ``operators.dense``; the spectral ones come oriented by entropy.
+
 Each partition is one data set, solved in one Python worker; large ones go through the DataFrame API.
 """
 
@@ -12,26 +14,9 @@ import pandas as pd
 from pyspark.sql import Row, SparkSession
 from pyspark.sql import functions as F
 
-MOST_ANSWERS = 2_000_000
-
+from ..operators import dense
 
-def small_scores(c: np.ndarray, method: str) -> np.ndarray:
-    """Scores of the users of a 0/1 answer matrix."""
-    if method == "hits":
-        s = np.ones(len(c))
-        for _ in range(100):
-            s = c @ (c.T @ s)
-            s /= np.linalg.norm(s) or 1
-        return s
-    if method == "participation":
-        return c.sum(1)
-    if method == "fiedler":
-        return np.linalg.eigh(np.diag(c @ c.sum(0)) - c @ c.T)[1][:, min(1, len(c) - 1)]
-    if method == "diffprop":
-        root = np.sqrt(c.sum(1))
-        half = c / root[:, None]
-        return np.linalg.eigh((half / c.sum(0)) @ half.T)[1][:, max(0, len(c) - 2)] / root
-    raise ValueError("method: diffprop, fiedler, hits or participation")
+METHODS = (*dense.UNPRIVILEGED, "majority_agreement")
 
 
 class AbilityRank:
@@ -43,22 +28,18 @@ class AbilityRank:
     def eval(self, row: Row, method: str = "diffprop"):
         self.method = method
         if row["user_id"] is not None and row["item_id"] is not None and row["option_id"] is not None:
-            self.rows.append((row["user_id"], (row["item_id"], row["option_id"])))
-        if len(self.rows) > MOST_ANSWERS:
+            self.rows.append((row["user_id"], row["item_id"], row["option_id"]))
+        if len(self.rows) > dense.MOST_ANSWERS:
             raise ValueError("too many answers for one data set: use the DataFrame API")
 
     def terminate(self):
-        users = {u: i for i, u in enumerate(sorted({u for u, _ in self.rows}))}
-        options = {o: i for i, o in enumerate(sorted({o for _, o in self.rows}, key=str))}
-        if not users:
+        if not self.rows:
             return
-        c = np.zeros((len(users), len(options)))
-        for u, o in self.rows:
-            c[users[u], options[o]] = 1
-        s = small_scores(c, self.method)
-        order = sorted(users, key=lambda u: (-round(float(s[users[u]]), 9), u))
-        for rank, u in enumerate(order, 1):
-            yield u, float(s[users[u]]), rank
+        a = dense.Answers.of(*(np.array(x) for x in zip(*self.rows)))
+        s = np.asarray(dense.scores(a, self.method), float)
+        rank = dense.descending(a, s)
+        for i in np.argsort(rank).tolist():
+            yield int(a.users[i]), float(s[i]), int(rank[i])
 
 
 def register_sql(spark: SparkSession) -> None:
@@ -71,8 +52,8 @@ def rank_each(df, dataset: str, method: str = "diffprop"):
     """The same by applyInPandas: dataset, user_id, score for every data set of a table."""
 
     def solve(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        c = pd.crosstab(pdf["user_id"], [pdf["item_id"], pdf["option_id"]])
-        return pd.DataFrame({dataset: key[0], "user_id": c.index, "score": small_scores(c.to_numpy(float), method)})
+        a = dense.Answers.of(pdf["user_id"].to_numpy(), pdf["item_id"].to_numpy(), pdf["option_id"].to_numpy())
+        return pd.DataFrame({dataset: key[0], "user_id": a.users, "score": np.asarray(dense.scores(a, method), float)})
 
     kind = df.schema[dataset].dataType.simpleString()
     return df.groupBy(dataset).applyInPandas(solve, f"`{dataset}` {kind}, user_id long, score double")

@@ -26,7 +26,7 @@ class Opts:
     check_every: int = 1
     score_digits: int = 9
     path: str = "auto"  # gram: option space on the driver; sql: joins; arrow: packed rows
-    max_options: int = 20_000
+    max_options: int = 4_000
     max_users: int = 5_000
     rounds: int | None = None  # a fixed number of rounds instead of a tolerance
 

@@ -92,7 +92,7 @@ def fiedler_power(responses: DataFrame, opts: Opts = Opts(), beta: float | None
         if opts.rounds is None and k % opts.check_every == 0:
             new = written(_unit_diffs(scores, pos), "diffs")
             delta = float("inf") if old is None else new.join(old.select("pos", F.col("diff").alias("before")), "pos").agg(F.sqrt(F.sum(F.pow(F.col("diff") - F.col("before"), 2)))).first()[0]
-            trace.append({"iter": k, "delta": float(delta), "rayleigh": 0.0, "millis": int(1000 * (time.time() - began))})
+            trace.append({"iter": k, "delta": float(delta), "rayleigh": None, "millis": int(1000 * (time.time() - began))})
             old = new
             if delta < opts.tol:
                 break

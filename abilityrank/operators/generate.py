@@ -40,15 +40,18 @@ def items_from(df: DataFrame, key: str, most: int, k: int, a_max: float = 10.0,
     )
 
 
-def generate(users: DataFrame, items: DataFrame, model: str, seed: int = 42, answered: float = 1.0, guess: float = 0.25) -> DataFrame:
+def generate(users: DataFrame, items: DataFrame, model: str, seed=42, answered=1.0, guess: float = 0.25, run: bool = False, told: bool = False) -> DataFrame:
     """user_id, item_id, option_id (int), correctness order inside: higher option is better for the
     ordered models; for the nominal ones the option with the steepest slope is correct.
 
-    items are few (they are sent out); ``answered`` keeps that share of all pairs."""
+    items are few (they are sent out); ``answered`` keeps that share of all pairs.  With ``run``, users
+    and items have a column of that name and many data sets are drawn at once; seed and answered
+    may then be columns of items.  With ``told``, answers also say whether they are correct and
+    which grade they have (0 worst)."""
     if model not in MODELS:
         raise ValueError(f"model: one of {', '.join(MODELS)}")
-    pairs = users.crossJoin(F.broadcast(items))
-    if answered < 1:
+    pairs = users.join(F.broadcast(items), "run") if run else users.crossJoin(F.broadcast(items))
+    if not isinstance(answered, (int, float)) or answered < 1:
         pairs = pairs.where(uniform_draw("user_id", "item_id", F.lit("keep"), seed) < answered)
     u = uniform_draw("user_id", "item_id", seed)
     theta, a = F.col("theta"), F.col("a")
@@ -61,7 +64,40 @@ def generate(users: DataFrame, items: DataFrame, model: str, seed: int = 42, ans
     else:
         p = M.p_nominal(theta, F.col("slopes"), F.col("places")) if model == "nominal" else M.p_nominal_guess(theta, F.col("slopes"), F.col("places"))
         option = M.draw_option(u, p)
-    return pairs.select("user_id", "item_id", option.cast("int").alias("option_id"))
+    keys = [*(["run"] if run else []), "user_id", "item_id"]
+    drawn = pairs.withColumn("option_id", option.cast("int"))
+    if not told:
+        return drawn.select(*keys, "option_id")
+    if model in ("nominal", "nominal_guess"):
+        own = F.element_at("slopes", F.col("option_id") + 1)
+        grade = F.size(F.filter("slopes", lambda s, h: (s < own) | ((s == own) & (h < F.col("option_id")))))
+        correct = F.col("option_id") == F.array_position("slopes", F.array_max("slopes")) - 1
+    else:
+        grade = F.col("option_id")
+        correct = grade == (F.lit(1) if model == "binary" else F.size("thresholds"))
+    return drawn.select(*keys, "option_id", "theta", correct.alias("correct"), grade.cast("int").alias("grade"))
+
+
+def users_of_runs(df: DataFrame, key: str, value: str, runs: DataFrame) -> DataFrame:
+    """run, user_id, theta in [0, 1]: for each run the users with ids up to its m.  runs: few rows."""
+    some = df.select(F.col(key).cast("long").alias("user_id"), F.col(value).cast("double").alias("v")).join(F.broadcast(runs.select("run", "m")), F.col("user_id") <= F.col("m"))
+    ends = some.groupBy("run").agg(F.min("v").alias("lo"), F.max("v").alias("hi"))
+    return some.join(F.broadcast(ends), "run").select("run", "user_id", F.when(F.col("hi") > F.col("lo"), (F.col("v") - F.col("lo")) / (F.col("hi") - F.col("lo"))).otherwise(0.0).alias("theta"))
+
+
+def items_of_runs(df: DataFrame, key: str, runs: DataFrame) -> DataFrame:
+    """``items_from`` for each run (n, k, a_max, low, high, seed), which keeps seed and answered."""
+    some = df.select(F.col(key).cast("long").alias("item_id")).join(F.broadcast(runs), F.col("item_id") <= F.col("n"))
+    draw = lambda tag, h: uniform_draw("item_id", F.lit(tag), h, F.col("seed"))
+    place = lambda u: u * (F.col("high") - F.col("low")) + F.col("low")
+    options = F.sequence(F.lit(0), F.col("k") - 1)
+    return some.select(
+        "run", "item_id", "seed", "answered",
+        (uniform_draw("item_id", F.lit("a"), F.col("seed")) * F.col("a_max")).alias("a"),
+        F.transform(options, lambda h: draw("s", h) * F.col("a_max")).alias("slopes"),
+        F.transform(options, lambda h: place(draw("b", h))).alias("places"),
+        F.sort_array(F.transform(F.slice(options, 1, F.col("k") - 1), lambda h: place(draw("t", h)))).alias("thresholds"),
+    )
 
 
 def answer_key(items: DataFrame, model: str) -> DataFrame:
@@ -98,9 +134,19 @@ def consistent(ranked_users: DataFrame, n_items: int) -> DataFrame:
 def evenly_spaced(spark, m: int, n: int, k: int, a: float) -> tuple[DataFrame, DataFrame]:
     """Users and items of the stability runs: abilities and difficulties evenly spaced in [0, 1], all
     items alike in slope, option slopes evenly spaced, options of an item at one place."""
-    users = spark.range(1, m + 1).select(F.col("id").alias("user_id"), ((F.col("id") - 1) / F.lit(max(m - 1, 1))).alias("theta"))
-    b = (F.col("id") - 1) / F.lit(max(n - 1, 1))
-    items = spark.range(1, n + 1).select(
-        F.col("id").alias("item_id"), F.lit(float(a)).alias("a"), F.array(*[F.lit(a * h / max(k - 1, 1)) for h in range(k)]).alias("slopes"), F.array(*[b for _ in range(k)]).alias("places"), F.array(*[b for _ in range(k - 1)]).alias("thresholds")
+    runs = spark.createDataFrame([(0, m, n, k, float(a))], "run int, m int, n int, k int, a_max double")
+    users, items = evenly_spaced_runs(runs)
+    return users.drop("run"), items.drop("run")
+
+
+def evenly_spaced_runs(runs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """``evenly_spaced`` for each run (m, n, k, a_max); items keep the run's other columns."""
+    even = lambda x, n: (x - 1) / F.greatest(F.col(n) - 1, F.lit(1))
+    users = runs.select("run", "m", F.explode(F.sequence(F.lit(1), F.col("m"))).alias("u")).select("run", F.col("u").cast("long").alias("user_id"), even(F.col("u"), "m").alias("theta"))
+    items = runs.withColumn("i", F.explode(F.sequence(F.lit(1), F.col("n"))))
+    b = even(F.col("i"), "n")
+    kept = [c for c in runs.columns if c not in ("m", "n", "k", "a_max")]
+    return users, items.select(
+        *kept, F.col("i").cast("long").alias("item_id"), F.col("a_max").alias("a"), F.transform(F.sequence(F.lit(0), F.col("k") - 1), lambda h: F.col("a_max") * h / F.greatest(F.col("k") - 1, F.lit(1))).alias("slopes"),
+        F.array_repeat(b, F.col("k")).alias("places"), F.array_repeat(b, F.col("k") - 1).alias("thresholds"),
     )
-    return users, items

@@ -40,7 +40,7 @@ def pearson(predicted: DataFrame, truth: DataFrame) -> float | None:
     return predicted.join(truth.select("user_id", F.col("score").alias("truth")), "user_id").agg(correlation("score", "truth")).first()[0]
 
 
-def kendall_df(predicted: DataFrame, truth: DataFrame, most_users: int = 20_000) -> DataFrame:
+def kendall_df(predicted: DataFrame, truth: DataFrame, most_users: int = 5_000) -> DataFrame:
     """One row: concordant and discordant pairs and tau-b; compares all pairs of few users."""
     both = predicted.join(truth.select("user_id", F.col("score").alias("truth")), "user_id")
     if both.limit(most_users + 1).count() > most_users:

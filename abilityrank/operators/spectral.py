@@ -18,6 +18,10 @@ from ..plans.storage import written
 from . import linalg
 
 
+#: Up to so many options the rounds run on the options' own matrix (18 MB at most).
+AUTO_OPTIONS = 1_500
+
+
 @dataclass
 class Result:
     scores: DataFrame
@@ -34,17 +38,35 @@ def encoded(responses: DataFrame) -> tuple[DataFrame, int, DataFrame]:
     return responses.join(book, OPTION), book.count(), book
 
 
-def gram(responses: DataFrame, n_options: int) -> np.ndarray:
+def gram(responses: DataFrame, n_options: int, block: int = 512) -> np.ndarray:
     """W with W[o, p] = mean over the users of o of (their share that p has): one pass over answers.
 
     The order of multiplication is turned round: averaging users then options acts on options, and
-    its matrix has no more rows than there are options, however many users there are.
+    its matrix has no more rows than there are options, however many users there are.  Each task
+    multiplies blocks of its users' rows (a row has at most one option an item) and hands on one
+    matrix, so what is shuffled does not grow with the users.
     """
-    rows = responses.groupBy("user_id").agg(F.collect_list("option_ix").alias("o"))
-    pairs = rows.select(F.explode("o").alias("a"), "o").select("a", (1.0 / F.size("o")).alias("x"), F.explode("o").alias("b"))
-    counted = pairs.groupBy("a", "b").agg(F.sum("x").alias("x")).toArrow()  # at most options squared, guarded by the caller
-    w = np.zeros((n_options, n_options))
-    w[counted.column("a").to_numpy(), counted.column("b").to_numpy()] = counted.column("x").to_numpy()
+    import pyarrow as pa
+
+    def add(batches):
+        total = np.zeros((n_options, n_options))
+        for batch in batches:
+            size = batch.column(0).value_lengths().to_numpy()
+            flat, ends = batch.column(0).flatten().to_numpy(), np.append(0, np.cumsum(size))
+            for lo in range(0, len(size), block):
+                own = size[lo : lo + block]
+                x = np.zeros((len(own), n_options))
+                x[np.repeat(np.arange(len(own)), own), flat[ends[lo] : ends[min(lo + block, len(size))]]] = 1
+                total += (x / own[:, None]).T @ x
+        at = np.flatnonzero(total)
+        for lo in range(0, len(at), 1 << 18):
+            part = at[lo : lo + (1 << 18)]
+            yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(total.ravel()[part])], ["cell", "x"])
+
+    counted = _packed(responses).select("o").mapInArrow(add, "cell long, x double").groupBy("cell").agg(F.sum("x").alias("x")).toArrow()  # at most options squared, guarded by the caller
+    w = np.zeros(n_options * n_options)
+    w[counted.column("cell").to_numpy()] = counted.column("x").to_numpy()
+    w = w.reshape(n_options, n_options)
     sizes = w.sum(1)
     return w / np.where(sizes > 0, sizes, 1)[:, None]
 
@@ -138,13 +160,14 @@ def _arrow_power(responses: DataFrame, opts: Opts) -> Result:
         y /= votes
         y -= (votes @ y) / votes.sum()
         norm = np.linalg.norm(y)
+        quotient = float(x @ y / (x @ x)) if x.any() else None
         sent.unpersist()
         if norm == 0:
             x = y
             break
         y /= norm
         delta = float(np.linalg.norm(y - old)) if old is not None else float("inf")
-        trace.append({"iter": k, "delta": delta, "rayleigh": 0.0, "millis": int(1000 * (time.time() - began))})
+        trace.append({"iter": k, "delta": delta, "rayleigh": quotient, "millis": int(1000 * (time.time() - began))})
         x = old = y
         if opts.rounds is None and delta < opts.tol:
             break
@@ -181,7 +204,7 @@ def _sql_power(responses: DataFrame, opts: Opts, step: str, init: DataFrame | No
         if measured:
             new = written(_unit_diffs(scores, pos), "diffs")
             delta = float("inf") if old is None else new.join(old.select("pos", F.col("diff").alias("before")), "pos").agg(F.sqrt(F.sum(F.pow(F.col("diff") - F.col("before"), 2)))).first()[0]
-            trace.append({"iter": k, "delta": float(delta), "rayleigh": 0.0, "millis": int(1000 * (time.time() - began))})
+            trace.append({"iter": k, "delta": float(delta), "rayleigh": None, "millis": int(1000 * (time.time() - began))})
             old = new
             if delta < opts.tol:
                 break
@@ -199,7 +222,7 @@ def diffprop_power(responses: DataFrame, opts: Opts = Opts(), step: str = "ancho
         raise ValueError("step: anchored or diff")
     path = opts.path
     if path == "auto":
-        few = responses.select(*OPTION).distinct().limit(min(opts.max_options, 4_000) + 1).count() <= min(opts.max_options, 4_000)
+        few = responses.select(*OPTION).distinct().limit(min(opts.max_options, AUTO_OPTIONS) + 1).count() <= min(opts.max_options, AUTO_OPTIONS)
         path = "gram" if few and step == "anchored" and init is None else "sql"
     if path == "gram":
         return _gram_power(responses, opts)
@@ -248,11 +271,13 @@ def diffprop_naive(responses: DataFrame, opts: Opts = Opts()) -> Result:
     d = np.random.default_rng(opts.seed).random(max(n - 1, 0))
     trace, rounds = [], 0
     for rounds in range(1, (opts.rounds or opts.max_iter) + 1):
+        began = time.time()
         new = a @ d
+        quotient = float(d @ new / (d @ d)) if d.any() else None
         norm = np.linalg.norm(new)
         new = new / norm if norm else new
         delta = float(np.linalg.norm(new - d))
-        trace.append({"iter": rounds, "delta": delta, "rayleigh": 0.0, "millis": 0})
+        trace.append({"iter": rounds, "delta": delta, "rayleigh": quotient, "millis": int(1000 * (time.time() - began))})
         d = new
         if opts.rounds is None and delta < opts.tol:
             break
@@ -314,7 +339,7 @@ def diffprop_deflation(responses: DataFrame, opts: Opts = Opts(), left: str = "c
         scores = scores.select("user_id", (F.col("score") / F.lit(size or 1.0)).alias("score"))
         if opts.rounds is None and k % opts.check_every == 0:
             delta = float("inf") if old is None else scores.join(old.withColumnRenamed("score", "before"), "user_id").agg(F.sqrt(F.sum(F.pow(F.col("score") - F.col("before"), 2)))).first()[0]
-            trace.append({"iter": k, "delta": float(delta), "rayleigh": 0.0, "millis": int(1000 * (time.time() - began))})
+            trace.append({"iter": k, "delta": float(delta), "rayleigh": None, "millis": int(1000 * (time.time() - began))})
             old = scores
             if delta < opts.tol:
                 break

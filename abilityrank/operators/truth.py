@@ -86,11 +86,17 @@ def participation(responses: DataFrame) -> DataFrame:
     return responses.groupBy("user_id").agg(F.count("*").alias("score"))
 
 
-def threshold_select(responses: DataFrame, key: DataFrame, least_answers: int, least_rate: float) -> DataFrame:
-    """Users with enough answers and a high enough share of correct ones."""
+def threshold_select(responses: DataFrame, key: DataFrame, least_answers: int, least_rate: float | None = None) -> DataFrame:
+    """Users with enough answers and a high enough share of correct ones; without ``least_rate`` at least
+    the share of all answers together, compared in whole numbers."""
     correct = responses.join(key.withColumnRenamed("option_id", "right_option"), "item_id", "left")
     per = correct.groupBy("user_id").agg(F.count("*").alias("answers"), F.sum(F.coalesce((F.col("option_id") == F.col("right_option")).cast("long"), F.lit(0))).alias("correct"))
-    return per.where((F.col("answers") >= least_answers) & (F.col("correct") >= least_rate * F.col("answers")))
+    enough = per.where(F.col("answers") >= least_answers)
+    if least_rate is not None:
+        return enough.where(F.col("correct") >= least_rate * F.col("answers"))
+    per = written(per, "correct")
+    total = per.agg(F.sum("answers").alias("all_answers"), F.sum("correct").alias("all_correct"))
+    return per.where(F.col("answers") >= least_answers).crossJoin(F.broadcast(total)).where("correct * all_answers >= all_correct * answers").select("user_id", "answers", "correct")
 
 
 def majority_key(responses: DataFrame) -> DataFrame:

@@ -197,11 +197,11 @@ def oracle_sql() -> dict[str, str]:
         "majority_key": _with("R2", f", {_KEY} SELECT * FROM key"),
         "true_answer": _with("R2", f", {_KEY}, {_CORRECT} SELECT * FROM correct"),
         "majority_agreement": _with("R2", f", {_KEY}, {_AGREE} SELECT user_id, round(score, 6) AS score FROM agree"),
-        "threshold_select": _with("R2", f", {_KEY}, {_CORRECT}, {_PART} SELECT user_id, part.score AS answers, correct.score AS correct FROM correct JOIN part USING (user_id) WHERE part.score >= 10 AND correct.score >= 0.5 * part.score"),
+        "threshold_select": _with("R2", f", {_KEY}, {_CORRECT}, {_PART} SELECT user_id, part.score AS answers, correct.score AS correct FROM correct JOIN part USING (user_id) WHERE part.score >= 10 AND correct.score * (SELECT sum(score) FROM part) >= part.score * (SELECT sum(score) FROM correct)"),
         "decile_entropy": _DECILE,
         "oriented_ranking": f"WITH c AS MATERIALIZED (SELECT user_id, score FROM ({diffprop(R['R1'])})), h AS MATERIALIZED ({_DECILE}), o AS (SELECT user_id, CASE WHEN (SELECT entropy FROM h WHERE side = 'low') < (SELECT entropy FROM h WHERE side = 'high') THEN score ELSE -score END + 0.0 AS score FROM c) SELECT user_id, score, row_number() OVER (ORDER BY score DESC, user_id) AS rank FROM o",
         "infer_truth": f"WITH r AS MATERIALIZED ({R['R1']}), c AS MATERIALIZED ({diffprop(R['R1'])}) SELECT item_id, option_id, round(m, 6) AS mean_rank FROM (SELECT item_id, option_id, avg(rank::DOUBLE) AS m, row_number() OVER (PARTITION BY item_id ORDER BY avg(rank::DOUBLE), option_id) AS n FROM r JOIN c USING (user_id) GROUP BY item_id, option_id) WHERE n = 1",
-        "option_weights": f"WITH r AS MATERIALIZED ({R['R1']}), c AS MATERIALIZED ({diffprop(R['R1'])}) SELECT item_id, option_id, round(avg(score), 5) + 0.0 AS weight FROM r JOIN c USING (user_id) GROUP BY ALL",
+        "option_weights": f"WITH r AS MATERIALIZED ({R['R1']}), c AS MATERIALIZED ({diffprop(R['R1'])}) SELECT item_id, option_id, ((s * 2 + n * 10 - ((s * 2 + n * 10) % (n * 20) + n * 20) % (n * 20)) // (n * 20)) / 100000.0 AS weight FROM (SELECT item_id, option_id, sum(round(score * 1000000)::BIGINT)::BIGINT AS s, count(*) AS n FROM r JOIN c USING (user_id) GROUP BY ALL)",
         "spearman": _with("R2", f", {_KEY}, {_AGREE}, {_PART} SELECT round(corr(a.x, b.x), 6) AS rho FROM {_average_rank('agree')} a JOIN {_average_rank('part')} b USING (user_id)"),
         "kendall": _with("R2", f", {_KEY}, {_AGREE}, {_PART}, b AS (SELECT user_id, agree.score AS x, part.score AS y FROM agree JOIN part USING (user_id)), p AS (SELECT sign(a.x - b.x) * sign(a.y - b.y) AS s, a.x <> b.x AS nx, a.y <> b.y AS ny FROM b a JOIN b ON a.user_id < b.user_id) SELECT sum((s > 0)::INT)::BIGINT AS concordant, sum((s < 0)::INT)::BIGINT AS discordant, round((sum((s > 0)::INT) - sum((s < 0)::INT)) / sqrt(sum(nx::INT)::DOUBLE * sum(ny::INT)), 6) AS tau FROM p"),
         "displacement": _with("R2", f", {_KEY}, {_AGREE}, {_CORRECT} SELECT round(avg(abs(a.k - b.k)) / count(*), 6) AS displacement FROM (SELECT user_id, row_number() OVER (ORDER BY round(score, 9) DESC, user_id) AS k FROM agree) a JOIN (SELECT user_id, row_number() OVER (ORDER BY score DESC, user_id) AS k FROM correct) b USING (user_id)"),

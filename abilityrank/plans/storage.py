@@ -12,6 +12,8 @@ def shared_root(spark: SparkSession) -> str:
     """``spark.checkpoint.dir`` of the session; a folder of our own only where none is set (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         root = "file://" + tempfile.mkdtemp(prefix="ranking-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")

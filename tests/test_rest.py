@@ -6,7 +6,7 @@ from abilityrank import model, queries
 from abilityrank.functions import response_models as M
 from abilityrank.functions.draws import uniform_draw
 from abilityrank.model import Opts
-from abilityrank.operators import components, generate, metrics, privileged, spectral, truth
+from abilityrank.operators import components, dense, fiedler, generate, metrics, privileged, spectral, truth
 from abilityrank.plans import workloads
 from abilityrank.sources import rsets
 
@@ -144,20 +144,114 @@ def test_sql_table_function(spark):
     assert spark.sql("SELECT uniform_draw('7|13|42') AS x").first()["x"] == pytest.approx(3223915986953026 / 16**13)
 
 
-@pytest.mark.parametrize("method", ["diffprop", "fiedler"])
-def test_experiments_have_scores_beyond_the_guard(spark, method):
+def test_one_group_equals_the_rounds_over_frames(spark):
+    """What a worker runs for a small data set, against the methods over DataFrames."""
+    users = spark.range(1, 31).select(F.col("id").alias("user_id"), (F.col("id") / 15.0 - 1).alias("theta"))
+    data = generate.generate(users, generate.items_from(spark.range(1, 21), "id", 20, 3), "nominal_guess", answered=0.9).select("user_id", F.col("item_id").cast("string").alias("item_id"), F.col("option_id").cast("string").alias("option_id"))
+    rows = data.toPandas()
+    data = spark.createDataFrame(rows).cache()
+    a = dense.Answers.of(rows["user_id"].to_numpy(), rows["item_id"].to_numpy(), rows["option_id"].to_numpy())
+    frame = lambda result: result.scores.toPandas().sort_values("user_id")["score"].to_numpy()
+    assert abs(dense.spearman(dense.diffprop(a), frame(spectral.diffprop_power(data)))) > 0.999
+    assert abs(dense.spearman(dense.fiedler(a), frame(fiedler.fiedler_direct(data)))) > 0.999
+    assert np.allclose(dense.hits(a, 4), frame(truth.hits(data, Opts(rounds=4))))
+    assert np.allclose(dense.truthfinder(a, 3), frame(truth.truthfinder(data, Opts(rounds=3), untied=True)))
+    assert np.allclose(dense._invested(a, 1.2, False, 3), frame(truth.investment(data, Opts(rounds=3))))
+    assert np.allclose(dense._invested(a, 1.4, True, 3), frame(truth.pooled_investment(data, Opts(rounds=3))))
+
+
+def test_dense_helpers_by_hand():
+    a = dense.Answers.of(*(np.array(x) for x in zip(*ROWS)))
+    s = dense.diffprop(a)
+    assert np.allclose(np.abs(np.diff(s)) / np.linalg.norm(np.diff(s)), [0.118612, 0.352388, 0.928307], atol=1e-4)
+    assert dense.is_consecutive(a, np.array([1, 2, 3, 4])) and not dense.is_consecutive(a, np.array([1, 3, 2, 4]))
+    assert dense.slice_entropy(a, np.array([True, True, False, False])) == pytest.approx(0.231049, abs=1e-6)
+    assert dense.spearman(np.array([1.0, 1.0]), np.array([1.0, 2.0])) is None
+    assert dense.majority(a).sum() == 3
+    with pytest.raises(ValueError):
+        dense.scores(a, "unknown")
+
+
+def test_estimator_of_a_group_equals_that_of_a_frame(spark):
+    users = spark.range(1, 41).select(F.col("id").alias("user_id"), (F.col("id") / 20.0 - 1).alias("theta"))
+    items = generate.items_from(spark.range(1, 13), "id", 12, 3).withColumn("run", F.lit(0))
+    data = generate.generate(users.withColumn("run", F.lit(0)), items, "graded", run=True, told=True)
+    rows = data.toPandas()
+    mine = dense.scores(dense.Answers.of(rows["user_id"].to_numpy(), rows["item_id"].to_numpy(), rows["option_id"].to_numpy()), "graded_estimator", grade=rows["grade"].to_numpy())
+    text = lambda df: df.withColumn("item_id", F.col("item_id").cast("string"))
+    frame = privileged.graded_estimator(text(data.select("user_id", "item_id", "option_id")), text(generate.option_order(items, "graded"))).scores.toPandas().sort_values("user_id")
+    assert np.allclose(mine, frame["score"].to_numpy(), atol=0.02)
+    # a scoring step never loses likelihood, and a known curve is found again
+    x, prior = privileged.nodes()
+    counts = privileged.curves(np.array([2.0]), np.array([[-1.0, 1.5]]), x) * prior[None, :, None] * 1e6
+    a, c = privileged.start(np.array([3]))
+    for _ in range(12):
+        before = privileged._value(a, c, counts, x)[0]
+        a, c = privileged.improve(a, c, counts, x)
+        assert privileged._value(a, c, counts, x)[0] >= before
+    assert a[0] == pytest.approx(2.0, abs=0.02) and c[0] == pytest.approx([-1.0, 1.5], abs=0.03)
+
+
+def test_runs_are_drawn_as_single_sets(spark):
+    runs = workloads._runs(spark, [{"seed": 7, "m": 20, "n": 9, "k": 4, "experiment": "x", "param": "n", "value_of_param": 1.0}, {"seed": 8, "m": 20, "n": 5, "answered": 0.5, "experiment": "x", "param": "n", "value_of_param": 2.0}])
+    items = generate.items_of_runs(rsets.table(spark, SF, "part"), "p_partkey", runs)
+    one = generate.items_from(rsets.table(spark, SF, "part"), "p_partkey", 9, 4, seed=7)
+    assert sorted(map(tuple, items.where("run = 0").select("item_id", "a", "slopes", "places", "thresholds").collect())) == sorted(map(tuple, one.collect()))
+    users = generate.users_of_runs(rsets.table(spark, SF, "customer"), "c_custkey", "c_acctbal", runs)
+    data = workloads.answers_of_runs(users, items, runs)
+    single = generate.generate(generate.users_from(rsets.table(spark, SF, "customer"), "c_custkey", "c_acctbal", 20), one, "nominal_guess", 7)
+    assert sorted(map(tuple, data.where("run = 0").select("user_id", "item_id", "option_id").collect())) == sorted(map(tuple, single.collect()))
+    assert 0 < data.where("run = 1").count() < 100
+    key, order = generate.answer_key(one, "nominal_guess"), generate.option_order(one, "nominal_guess")
+    told = data.where("run = 0").join(key.withColumnRenamed("option_id", "right"), "item_id").join(order, ["item_id", "option_id"])
+    assert told.where((F.col("correct") != (F.col("option_id") == F.col("right"))) | (F.col("grade") != F.col("correctness_rank"))).count() == 0
+
+
+def _mean(rows, metric="spearman"):
+    return rows[rows.metric == metric].groupby("method")["value"].mean()
+
+
+def test_accuracy_experiments_behave_as_reported(spark):
+    """Which method wins and how the measures move, at three seeds a point."""
+    found = workloads.vary(spark, SF, "n", (25, 100), seeds=(1, 2, 3)).toPandas()
+    assert set(found[found.metric == "spearman"].method) == set(workloads.METHODS) and (found.n_users == 100).all()
+    low, high = (found[found.value_of_param == n] for n in (25.0, 100.0))
+    assert _mean(high)["diffprop"] > 0.9 and _mean(high)["diffprop"] > _mean(low)["diffprop"]
+    for m in ("fiedler", "hits", "truthfinder", "investment", "pooled_investment", "true_answer"):
+        assert _mean(high)["diffprop"] >= _mean(high)[m] - 0.005
+    thin = workloads.vary(spark, SF, "answered", (0.6, 1.0), methods=("diffprop", "true_answer"), seeds=(1, 2, 3)).toPandas()
+    assert _mean(thin[thin.value_of_param == 1.0])["diffprop"] > _mean(thin[thin.value_of_param == 0.6])["diffprop"] > 0.8
+    perfect = workloads.consistent_data(spark, "/root/testdata/sf0.01", (10,)).toPandas()
+    assert set(perfect[(perfect.metric == "recovered") & (perfect.value == 1)].method) == {"diffprop", "fiedler"}
+
+
+def test_stability_and_orientation(spark):
+    found = workloads.stability(spark, (2.0, 40.0), (1, 2, 3), 60, 60).toPandas()
+    for a in (2.0, 40.0):
+        own = found[found.value_of_param == a]
+        for metric, sign in (("displacement", 1), ("variance", 1), ("spearman", -1)):
+            by = _mean(own, metric)
+            assert sign * by["diffprop"] < sign * by["fiedler"], (a, metric, by.to_dict())
+    way = workloads.orientation_success(spark, SF, (1, 2, 3, 4), 40).toPandas()
+    assert way[way.metric == "rate"]["value"].iloc[0] >= 0.75
+
+
+def test_wins_means_and_timings(spark):
+    rows = [("x", "a", "m", 0.5), ("x", "b", "m", 0.7), ("y", "a", "m", 0.9), ("y", "b", "m", 0.9)]
+    df = spark.createDataFrame(rows, "dataset string, method string, metric string, value double")
+    assert {(r["method"], r["wins"]) for r in metrics.wins(df).collect()} == {("a", 1), ("b", 1)}
+    assert {r["method"]: round(r["mean"], 6) for r in metrics.mean_over(df).collect()} == {"a": 0.7, "b": 0.8}
     r = path_data(spark)
-    got = workloads.method_scores(method, r, opts=Opts(max_users=3, max_iter=2)).collect()
-    assert sorted(x["user_id"] for x in got) == [1, 2, 3, 4] and all(np.isfinite(x["score"]) for x in got)
-
-
-def test_graded_estimates_fit_every_item_to_tolerance(spark, monkeypatch):
-    seen = {}
+    scores = truth.participation(r).select("user_id", F.col("score").cast("double"))
+    assert metrics.pearson(scores, scores) is None  # everybody answered three items
+    took = workloads.timed(spark, r, {"gram": lambda x: spectral.diffprop_power(x, Opts(rounds=2)), "refused": lambda x: spectral.diffprop_direct(x, Opts(max_users=2))}, repeats=2).collect()
+    assert [(t["variant"], t["repeats"]) for t in took] == [("gram", 2)]
 
-    def note(responses, order, opts):
-        seen["items"], seen["opts"] = [x.select("item_id").distinct().count() for x in (responses, order)], opts
-        return spectral.Result(responses.select("user_id", F.lit(0.0).alias("score")).distinct(), 0)
 
-    monkeypatch.setattr(privileged, "graded_estimator", note)
-    queries.QUERIES["graded_estimates"](spark, SF)
-    assert seen["items"] == [queries._items(spark, SF).count()] * 2 and seen["opts"].rounds is None
+def test_deflation_schemes_agree(spark):
+    r = path_data(spark)
+    order = lambda res: [x["user_id"] for x in res.scores.orderBy("score").collect()]
+    for scheme in ("annihilate", "symmetrised", "hotelling"):
+        assert order(spectral.diffprop_deflation(r, Opts(rounds=25), scheme=scheme)) in ([1, 2, 3, 4], [4, 3, 2, 1])
+    with pytest.raises(ValueError):
+        spectral.diffprop_deflation(r, scheme="symmetric")
