@@ -2,7 +2,9 @@
 
 The automaton holds the word sequences of all templates.  A file is streamed through it once: at
 each word the automaton knows the longest run of words ending there that some template holds.  Runs
-of at least ``least`` words are chained, in template order, into spans that cover a template.
+of at least ``least`` words are chained, in template order, into spans that cover a template.  A span
+that covers at least the share ``cover`` of its template gives the template's label.  The score is the
+largest share of a template, among those of the labels found, that one span or base phrase covers.
 
 Null and empty texts have no words and no labels; null first and last words, score 0.  Repeated
 rows are scanned apart.  Extra columns are ignored.
@@ -15,7 +17,7 @@ from dataclasses import dataclass, field
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-#: Opening words of public licence notices, by label.
+#: Public licence notices, short ones whole and opening words of longer ones, by label.
 TEMPLATES = {
     "apache": (
         "licensed under the apache license version 2.0 the license you may not use this file except in compliance with the license",
@@ -25,6 +27,10 @@ TEMPLATES = {
     "bsd": (
         "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met",
         "redistributions of source code must retain the above copyright notice this list of conditions and the following disclaimer",
+        "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met "
+        "redistributions of source code must retain the above copyright notice this list of conditions and the following disclaimer "
+        "redistributions in binary form must reproduce the above copyright notice this list of conditions and the following disclaimer in the documentation and or other materials provided with the distribution "
+        "this software is provided by the copyright holders and contributors as is and any express or implied warranties including but not limited to the implied warranties of merchantability and fitness for a particular purpose are disclaimed",
     ),
     "cc-by": (
         "this work is licensed under a creative commons attribution 4.0 international license",
@@ -38,6 +44,14 @@ TEMPLATES = {
         "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files",
         "the software is provided as is without warranty of any kind express or implied including but not limited to the warranties of merchantability",
         "released under the mit license",
+        "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software without restriction "
+        "including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to do so subject to the following conditions "
+        "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software "
+        "the software is provided as is without warranty of any kind express or implied including but not limited to the warranties of merchantability fitness for a particular purpose and noninfringement "
+        "in no event shall the authors or copyright holders be liable for any claim damages or other liability whether in an action of contract tort or otherwise arising from out of or in connection with the software or the use or other dealings in the software",
+    ),
+    "isc": (
+        "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted provided that the above copyright notice and this permission notice appear in all copies",
     ),
     "mpl": ("this source code form is subject to the terms of the mozilla public license v 2.0",),
     "reserved": ("all rights reserved",),
@@ -148,6 +162,8 @@ class LicenceScanner:
         for words, _ in self.phrases:
             for w in words:
                 self.vocabulary.setdefault(w, len(self.vocabulary))
+        # the share of its label's shortest template that a base phrase is
+        self.phrase_cover = {label: min(1.0, len(words) / min((n for n, own in zip(self.sizes, self.labels) if own == label), default=len(words))) for words, label in self.phrases}
 
     def runs(self, words: list[bytes]):
         """(start, tokens) of maximal stretches of words that templates or phrases use."""
@@ -173,6 +189,10 @@ class LicenceScanner:
 
     def hits(self, words: list[bytes]) -> list[Hit]:
         """Templates of which chained matches cover at least the wanted share."""
+        return [h for h in self.spans(words) if h.covered >= self.cover]
+
+    def spans(self, words: list[bytes]) -> list[Hit]:
+        """Chained matches with the share of their template that they cover."""
         pieces: dict[int, list[tuple[int, int, int]]] = {}
         for start, tokens in self.runs(words):
             if len(tokens) < self.least:
@@ -186,9 +206,7 @@ class LicenceScanner:
         out = []
         for template, found in pieces.items():
             for first, last, words_covered in self._chains(sorted(found), self.sizes[template]):
-                share = words_covered / self.sizes[template]
-                if share >= self.cover:
-                    out.append(Hit(self.labels[template], first, last, min(1.0, share)))
+                out.append(Hit(self.labels[template], first, last, min(1.0, words_covered / self.sizes[template])))
         return out
 
     def _chains(self, found, size: int):
@@ -207,12 +225,14 @@ class LicenceScanner:
     def scan(self, text: bytes) -> dict:
         words = scan_words(text)
         base = self.base(words)
-        hits = self.hits(words)
+        spans = self.spans(words)
+        hits = [h for h in spans if h.covered >= self.cover]
         labels = {label for _, label in base}
+        found = labels | {h.label for h in hits}
         return {
             "n_words": len(words), "n_base": len(base), "first_word": min((s for s, _ in base), default=None), "last_word": max((s for s, _ in base), default=None),
-            "base_labels": ",".join(sorted(labels)), "labels": ",".join(sorted(labels | {h.label for h in hits})),
-            "score": 1.0 if base else max((h.covered for h in hits), default=0.0),
+            "base_labels": ",".join(sorted(labels)), "labels": ",".join(sorted(found)),
+            "score": max([h.covered for h in spans if h.label in found] + [self.phrase_cover[label] for label in labels], default=0.0),
             "spans": [{"label": h.label, "first": h.first, "last": h.last, "covered": h.covered} for h in hits],
         }
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import cotraining, fingerprint_index, kmeans_tree, licences, merge_dropout, packing, quality_rules, suffix_dedup, token_store, weighted_minhash
 from .shared import shared_dir, table
@@ -45,7 +46,7 @@ def op8_merge_dropout(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_licence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return licences.scan_licences(table(spark, sf_dir, "documents")).drop("spans")
+    return licences.scan_licences(table(spark, sf_dir, "documents")).withColumn("spans", F.to_json("spans"))
 
 
 def op10_induced_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
