@@ -7,12 +7,15 @@ those that one view is sure of teach the other, however many there are: the meta
 on their counts by language, source and length, which say all it can see of them; the text view is
 fitted on blocks of them beside the labelled sample, and the blocks' weights are averaged by their
 numbers of documents.  In each class the labelled sample and the documents a view is given have
-half of the weight each.  Then the views are calibrated together on labelled documents that no round
-trained on, by a logistic combination that is the score of every document of the table.
+half of the weight each.  Then each view is calibrated by itself on labelled documents that no round
+trained on (a logistic fit of its margin), and the score of every document of the table is the logistic
+combination, fitted on the same documents, of the two calibrated views.  Where those have one class only,
+the views stay as they are and count alike.
 
 Only the labels that fitting uses are bounded: ``labelled`` rows, the first by a hash of doc_id;
 documents whose labels are beyond them are exchanged as unlabelled ones are.  A null or empty text
-has the features of no text; null metadata are a value of their own.  Labels that are null or not 0 or 1 are left out.  Without
+has the features of no text; null metadata are a value of their own.  Labels that are null or not 0 or 1 are left out;
+of several labels of one doc_id the more frequent one counts, and none if they tie.  Without
 labels of both classes every document scores 0.5 and is kept.  Rows that repeat a doc_id are scored
 apart.  Empty tables give no rows.
 """
@@ -111,17 +114,30 @@ def margin(x: np.ndarray, w: np.ndarray) -> np.ndarray:
     return x @ w[:-1].astype(x.dtype) + w[-1]
 
 
+def sure(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+
+
 @dataclass
 class CoTrained:
     text: np.ndarray
     meta: np.ndarray
-    scale: np.ndarray  # of the two margins, and the intercept
+    views: np.ndarray  # of each view's margin, its calibration: slope and intercept
+    mixed: np.ndarray  # of the two calibrated margins, and the intercept
     added: tuple[int, int]  # pseudo-labels that the text and metadata views received, of all rounds
 
+    def calibrated(self, text: np.ndarray, meta: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Margins (log-odds) of both views after calibration."""
+        return tuple(np.clip(v[0] * np.clip(margin(x, w), -20, 20) + v[1], -20, 20) for x, w, v in ((text, self.text, self.views[0]), (meta, self.meta, self.views[1])))
+
+    def calibrate(self, text: np.ndarray, meta: np.ndarray, y: np.ndarray) -> None:
+        """On labelled documents that training has not seen, with both classes."""
+        self.views = np.stack([fit_logistic(np.clip(margin(x, w), -20, 20)[:, None], y, l2=1e-2) for x, w in ((text, self.text), (meta, self.meta))])
+        self.mixed = fit_logistic(np.stack(self.calibrated(text, meta), 1), y, l2=1e-2)
+
     def score(self, text: np.ndarray, meta: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        a, b = np.clip(margin(text, self.text), -20, 20), np.clip(margin(meta, self.meta), -20, 20)
-        sure = lambda z: 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-        return sure(self.scale[0] * a + self.scale[1] * b + self.scale[2]), sure(a), sure(b)
+        a, b = self.calibrated(text, meta)
+        return sure(self.mixed[0] * a + self.mixed[1] * b + self.mixed[2]), sure(a), sure(b)
 
 
 META = ["lang", "source", "n_chars"]
@@ -208,7 +224,8 @@ def exchange(others: DataFrame, x: np.ndarray, y: np.ndarray, text: np.ndarray,
 
 
 def train(docs: DataFrame, labels: DataFrame, labelled: int = 4_000, label: str = "quality", rounds: int = 4, sure: float = 0.95) -> CoTrained | None:
-    ids = labels.where(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y"))
+    each = labels.where(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y"))
+    ids = each.groupBy("doc_id").agg((F.sum("y") * 2 - F.count("*")).alias("lead")).where("lead <> 0").select("doc_id", (F.col("lead") > 0).cast("int").alias("y"))
     docs = docs.withColumn("doc_id", F.col("doc_id").cast("long"))
     known = ids.join(docs.select("doc_id"), "doc_id", "left_semi").orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(labelled)
     known = docs.sparkSession.createDataFrame(known.collect(), known.schema)  # bounded by ``labelled``
@@ -235,10 +252,9 @@ def train(docs: DataFrame, labels: DataFrame, labelled: int = 4_000, label: str
         given = (at >= CELLS).astype(np.float64)
         meta = fit_logistic(np.concatenate([own_m, cell_features(at % CELLS)]), np.concatenate([own_y, given]), weight=halves(own_y, given, counts[at]))
         added = [added[0] + n, added[1] + int(counts.sum())]
-    model = CoTrained(text, meta, np.array([1.0, 0.0, 0.0]), (added[0], added[1]))
+    model = CoTrained(text, meta, np.array([[1.0, 0.0], [1.0, 0.0]]), np.array([0.5, 0.5, 0.0]), (added[0], added[1]))
     if len(set(y[held].tolist())) == 2:
-        z = np.stack([np.clip(margin(x[held], text), -20, 20), np.clip(margin(m[held], meta), -20, 20)], 1)
-        model.scale = fit_logistic(z, y[held].astype(np.float64), l2=1e-2)
+        model.calibrate(x[held], m[held], y[held].astype(np.float64))
     return model
 
 
