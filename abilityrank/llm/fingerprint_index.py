@@ -10,7 +10,9 @@ new batch's run is merge-joined with the earlier runs:
 * the same anchor with other spans: the windows are verified one by one, from the texts;
 * otherwise no window is repeated.
 
-``compact`` merges the runs into one.  Words are cut from a document if a window covering them
+``compact`` merges the runs into one, and happens by itself before the ``most_runs``-th run is joined.
+After each batch the folder lists the runs and texts that count, so that ``open`` finds the index in
+another session.  Words are cut from a document if a window covering them
 stands in an earlier batch, or in a document of the same batch with a smaller doc_id.
 
 Null texts have no words.  Rows that share a doc_id never cut each other; rows without a doc_id
@@ -20,6 +22,7 @@ neither cut nor are cut.  Extra columns are ignored.  Empty tables give no rows.
 from __future__ import annotations
 
 import hashlib
+import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -152,27 +155,55 @@ def repeated_windows_of_hot_anchors(rows: DataFrame, window: int) -> DataFrame:
 
 
 class FingerprintIndex:
-    """Runs in a folder of the cluster's shared storage, with the documents they came from."""
+    """Runs in a folder of the cluster's shared storage, with the documents they came from.
 
-    def __init__(self, spark: SparkSession, folder: str | None = None, window: int = 50, gram: int = 20, hot: int = 2_000):
+    ``keep_texts`` copies each batch's texts into the folder; without it the batches' own tables are
+    read again when windows are verified, and the index serves the session that made it only.
+    """
+
+    def __init__(self, spark: SparkSession, folder: str | None = None, window: int = 50, gram: int = 20, hot: int = 2_000, keep_texts: bool = True, most_runs: int = 8):
         if not 0 < gram <= window:
             raise ValueError("an anchor lies within a window")
-        self.spark, self.window, self.gram, self.hot = spark, window, gram, hot
+        self.spark, self.window, self.gram, self.hot, self.keep_texts, self.most_runs = spark, window, gram, hot, keep_texts, most_runs
         self.folder = folder or shared_dir(spark, "fingerprints")
         self.runs: list[str] = []
         self.texts: list[DataFrame] = []
+        self.kept: list[str] = []
+        self.version = 0
+
+    @classmethod
+    def open(cls, spark: SparkSession, folder: str) -> "FingerprintIndex":
+        """The index as the last finished batch or compaction left it."""
+        last = spark.read.json(f"{folder}/lists/*").orderBy(F.desc("version")).first()
+        index = cls(spark, folder, last["window"], last["gram"], last["hot"], True, last["most_runs"])
+        index.runs, index.kept, index.version = list(last["runs"]), list(last["texts"]), last["version"]
+        index.texts = [spark.read.schema("doc_id long, text string").parquet(x) for x in index.kept]
+        return index
+
+    def _listed(self) -> None:
+        self.version += 1
+        if self.keep_texts:
+            row = (self.version, self.window, self.gram, self.hot, self.most_runs, self.runs, self.kept)
+            one = self.spark.createDataFrame([row], "version int, window int, gram int, hot int, most_runs int, runs array<string>, texts array<string>")
+            one.coalesce(1).write.json(f"{self.folder}/lists/{self.version:06d}")
 
     def _runs(self) -> DataFrame | None:
         return self.spark.read.parquet(*self.runs) if self.runs else None
 
     def _write_run(self, run: DataFrame) -> str:
-        path = f"{self.folder}/run-{len(self.texts)}"
+        path = f"{self.folder}/run-{uuid.uuid4().hex[:12]}"
         run.sortWithinPartitions("gram", "span").write.parquet(path)
         return path
 
     def ingest(self, docs: DataFrame) -> DataFrame:
         """Adds a batch (doc_id, text); returns the word ranges to cut from it as ``CUTS``."""
+        if len(self.runs) >= self.most_runs:
+            self.compact()
         docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+        if self.keep_texts:
+            self.kept.append(f"{self.folder}/texts-{uuid.uuid4().hex[:12]}")
+            docs.write.parquet(self.kept[-1])
+            docs = self.spark.read.schema(docs.schema).parquet(self.kept[-1])
         mine = materialise(anchor_rows(docs, self.window, self.gram), "anchors")
         run = self._write_run(mine.groupBy("gram", "span").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")))
         new = self.spark.read.parquet(run)
@@ -200,15 +231,17 @@ class FingerprintIndex:
         cuts = materialise(cuts, "cuts")
         self.runs.append(run)
         self.texts.append(docs)
+        self._listed()
         return cuts
 
     def compact(self) -> None:
         """All runs as one; a span keeps its smallest document."""
         if len(self.runs) > 1:
             merged = self._runs().groupBy("gram", "span").agg(F.min("least").alias("least"), F.sum("n").alias("n"))
-            path = f"{self.folder}/compacted-{len(self.texts)}"
+            path = f"{self.folder}/compacted-{uuid.uuid4().hex[:12]}"
             merged.sortWithinPartitions("gram", "span").write.parquet(path)
             self.runs = [path]
+            self._listed()
 
 
 OUT = "doc_id long, n_words long, n_removed long, kept_sha256 string"
@@ -266,7 +299,7 @@ def dedup_substrings(docs: DataFrame, batches: int = 2, window: int = 50, gram:
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     shares = [k / batches for k in range(1, batches)]
     bounds = (docs.agg(F.percentile_approx("doc_id", shares, 1000)).first()[0] or []) if shares else []
-    index = FingerprintIndex(spark, window=window, gram=gram)
+    index = FingerprintIndex(spark, window=window, gram=gram, keep_texts=False)  # the table itself is there
     cuts = None
     edges = [None, *sorted(set(bounds)), None]
     for lo, hi in zip(edges, edges[1:]):
@@ -277,5 +310,4 @@ def dedup_substrings(docs: DataFrame, batches: int = 2, window: int = 50, gram:
             batch = batch.where(F.col("doc_id") <= hi)
         found = index.ingest(batch)
         cuts = found if cuts is None else cuts.unionByName(found)
-    index.compact()
     return apply_cuts(whole, cuts, with_text, extra)

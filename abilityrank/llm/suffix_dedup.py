@@ -28,6 +28,7 @@ from __future__ import annotations
 import hashlib
 import heapq
 import tempfile
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -216,8 +217,7 @@ class ExternalInduction:
         self.scratch = tempfile.TemporaryDirectory()
         self.store = tempfile.TemporaryFile(dir=self.scratch.name)  # contexts, rows of one width
         self.width = 2 * length
-        self.place: list[int] = []
-        self.count: list[int] = []
+        self.place, self.count = array("i"), array("i")  # four bytes a context
         self.held: list[tuple[bytes, int]] = []
         self.sorted: list[tuple[object, int]] = []
 
@@ -343,7 +343,7 @@ def repeated_in_contexts(rows: DataFrame, length: int, memory: int = 8_000) -> D
     def run(batches):
         held: list[tuple] = []  # whole anchors and the one being read
         begin = 0  # where the latter begins
-        external, spans, before = None, [], None
+        external, spans, before = None, array("q"), None
         for batch in batches:
             for row in zip(*(batch.column(c).to_pylist() for c in range(5))):
                 if before is not None and row[:2] == before[:2]:
@@ -351,7 +351,7 @@ def repeated_in_contexts(rows: DataFrame, length: int, memory: int = 8_000) -> D
                 if before is not None and row[0] != before[0]:
                     if external:
                         yield from large(before[0], spans, external)
-                        external, spans = None, []
+                        external, spans = None, array("q")
                     if len(held) >= memory // 2:
                         yield from small(held)
                         held = []
