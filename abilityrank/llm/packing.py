@@ -3,7 +3,9 @@
 A sequence has three capacities: tokens, documents and attention cost (the sum of squared piece
 lengths).  Pieces go from the longest to the shortest; each goes to the open sequence, among those
 that still have room under every capacity, that scores best: by the weighted dot product of the
-piece's needs and the sequence's residuals, or by the smallest weighted norm of what would be left.
+piece's needs and the sequence's residuals, or by the smallest weighted norm of what would be left
+of all three.  The usual weights let tokens lead: one token less counts more than all documents and
+all cost together, which decide between sequences with the same room for tokens.
 
 Only the histogram of piece lengths is needed to decide: equal lengths are interchangeable, so the
 plan handles sequences in classes with equal residuals and moves whole ranges of them at a time.
@@ -17,6 +19,7 @@ Every piece is placed; empty tables give no rows.
 from __future__ import annotations
 
 import bisect
+import itertools
 import zlib
 from dataclasses import dataclass
 
@@ -30,6 +33,15 @@ from .encode import PieceEncoder, vocabulary
 from .shared import materialise, shared_dir
 
 
+#: Of tokens, documents and cost in the norm; see ``leads``.
+WEIGHTS = (1.0, 1e-8, 1e-8)
+
+
+def leads(capacities: "Capacities", weights) -> bool:
+    """Whether a difference of one token outweighs any difference in documents and cost."""
+    return weights[0] / capacities.tokens**2 > weights[1] + weights[2]
+
+
 @dataclass(frozen=True)
 class Capacities:
     tokens: int = 2048
@@ -40,12 +52,12 @@ class Capacities:
         return self.tokens, self.documents or self.tokens, self.cost or self.tokens**2
 
 
-def plan(histogram: dict[int, int], capacities: Capacities = Capacities(), rule: str = "norm", weights=(1.0, 0.0, 0.0)) -> list[tuple[int, int, int, int, int]]:
+def plan(histogram: dict[int, int], capacities: Capacities = Capacities(), rule: str = "norm", weights=WEIGHTS) -> list[tuple[int, int, int, int, int]]:
     """(length, first number, count, first sequence, offset): pieces of a length with those running
     numbers go to consecutive sequences at the offset.
 
-    With one weighted capacity, sequences are kept by residual tokens, and the best fit is the
-    smallest that has room; with more, all classes are compared.
+    Where tokens lead, the norm is smallest among the classes with the fewest residual tokens that
+    have room, and only those are compared; otherwise all are.
     """
     if rule not in ("norm", "dot"):
         raise ValueError("rule: norm or dot")
@@ -54,7 +66,7 @@ def plan(histogram: dict[int, int], capacities: Capacities = Capacities(), rule:
     classes: dict[tuple[int, int, int], list[list[int]]] = {}
     order: list[tuple[int, int, int]] = []
     out, opened = [], 0
-    only_tokens = weights[1] == weights[2] == 0 and rule == "norm"
+    first_by_tokens = rule == "norm" and leads(capacities, weights)
     w = np.array(weights)
 
     def put(residual, start, count):
@@ -65,11 +77,17 @@ def plan(histogram: dict[int, int], capacities: Capacities = Capacities(), rule:
 
     def best(need):
         at = bisect.bisect_left(order, (need[0], -1, -1))
-        fits = [r for r in order[at:] if r[1] >= need[1] and r[2] >= need[2]] if not only_tokens else None
-        if only_tokens:
-            return next((r for r in order[at:] if r[1] >= need[1] and r[2] >= need[2]), None)
-        if not fits:
-            return None
+        if first_by_tokens:
+            fits = []
+            for r in itertools.islice(order, at, None):
+                if fits and r[0] > fits[0][0]:
+                    break
+                if r[1] >= need[1] and r[2] >= need[2]:
+                    fits.append(r)
+        else:
+            fits = [r for r in order[at:] if r[1] >= need[1] and r[2] >= need[2]]
+        if len(fits) < 2:
+            return fits[0] if fits else None
         left, wants = np.array(fits) / full, np.array(need) / full
         score = ((left - wants) ** 2 * w).sum(1) if rule == "norm" else -(left * wants * w).sum(1)
         return fits[int(score.argmin())]
@@ -140,7 +158,7 @@ def encode_pieces(df: DataFrame, most: int, tokenizer: str | None = None, end_id
     return df.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, task int, order long")
 
 
-def pack(df: DataFrame, capacities: Capacities = Capacities(), tokenizer: str | None = None, end_id: int = 0, rule: str = "norm", weights=(1.0, 0.0, 0.0)) -> DataFrame:
+def pack(df: DataFrame, capacities: Capacities = Capacities(), tokenizer: str | None = None, end_id: int = 0, rule: str = "norm", weights=WEIGHTS) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
     spark = df.sparkSession
     pieces = materialise(encode_pieces(df, capacities.tokens, tokenizer, end_id), "pieces")
