@@ -116,6 +116,42 @@ def test_neighbours_against_brute_force(spark):
     assert kmeans_tree.neighbours(spark.createDataFrame([(0, [1.0, 2.0]), (3, [2.0, 1.0])], "vec_id long, embedding array<float>")).count() == 1
 
 
+def test_neighbours_with_ties_and_mixed_widths(spark):
+    """Copies scaled by powers of two score alike and come by vec_id; other widths take no part."""
+    rng = np.random.default_rng(8)
+    v = rng.standard_normal((300, 6))
+    for i, scale in ((40, 2.0), (120, 0.5), (201, 4.0), (7, 1.0), (250, 8.0), (33, 16.0)):
+        v[i] = v[100] * scale
+    rows = [(i, r.tolist()) for i, r in enumerate(v)] + [(1000 + i, [1.0] * (2 + i % 3)) for i in range(30)] + [(2000, [1e300] * 6), (2050, [float("inf")] + [0.0] * 5)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = defaultdict(list)
+    for r in kmeans_tree.neighbours(df, rows_a_leaf=50, recall=0.99).orderBy("query_id", "rank").collect():
+        got[r["query_id"]].append((r["vec_id"], r["score"]))
+    assert [i for i, _ in got[100]] == [7, 33, 40, 120, 201] and all(abs(x - 1) < 1e-12 for _, x in got[100])
+    assert [i for i, _ in got[250]] == [7, 33, 40, 100, 120]
+    assert not {x for own in got.values() for x, _ in own} & {*range(1000, 1030), 2050} and 1000 not in got and 2050 not in got
+    assert all(np.isfinite(x) for own in got.values() for _, x in own)
+
+
+def test_very_long_texts_are_whole(spark):
+    """A text far beyond any block: every operator over texts sees its end."""
+    rng = Random(12)
+    tail = " ".join(f"tail{rng.randint(0, 10**6)}" for _ in range(80))
+    long = " ".join(rng.choice(WORDS) + str(rng.randint(0, 10**5)) for _ in range(60_000)) + " all rights reserved " + tail
+    docs = spark.createDataFrame([(1, tail), (2, long), (3, long)], "doc_id long, text string")
+    cut = {r["doc_id"]: r for r in fingerprint_index.dedup_substrings(docs).collect()}
+    assert cut[2]["n_words"] == 60_083 and cut[2]["n_removed"] == 80 and cut[3]["n_removed"] == 60_083
+    removed = {r["doc_id"]: r for r in suffix_dedup.dedup_bytes(docs).collect()}
+    assert removed[1]["n_removed"] == len(tail) and removed[2]["n_removed"] == removed[3]["n_removed"] == len(long)
+    spans = {r["doc_id"]: r for r in licences.scan_licences(docs).collect()}
+    assert spans[2]["first_word"] == 60_000 and spans[2]["n_words"] == 60_083
+    encoded = {r["doc_id"]: r for r in merge_dropout.encode_documents(docs).collect()}
+    assert all(r["restored"] for r in encoded.values()) and encoded[2]["ids_crc32"] != encoded[3]["ids_crc32"]  # other documents, other skips
+    assert {r["doc_id"]: r["class_id"] for r in weighted_minhash.near_duplicates(docs).collect()} == {1: 1, 2: 2, 3: 2}
+    report = {r["doc_id"]: r for r in quality_rules.quality_rules_report(docs).collect()}
+    assert report[2]["n_words"] == 60_083
+
+
 def test_classifier_on_held_out_labels(spark, odd):
     docs, labels = spark.read.parquet("/root/testdata/sf0.1/documents.parquet"), spark.read.parquet("/root/testdata/sf0.1/labels.parquet")
     half = labels.where("doc_id % 2 = 0")
