@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import OPTION, Opts, SizeGuardError
-from ..plans.storage import written
+from ..plans.storage import forget, written
 from . import linalg
 from .spectral import Result, _from_driver, _unit_diffs, dense_answers
 
@@ -88,11 +88,13 @@ def fiedler_power(responses: DataFrame, opts: Opts = Opts(), beta: float | None
             scores = linalg.from_diffs(linalg.to_diffs(scores, pos), pos)
         shared = linalg.user_sums(rows, linalg.option_sums(rows, scores), n_options).withColumnRenamed("score", "z")
         moved = scores.join(degree, "user_id").join(shared, "user_id").select("user_id", ((F.lit(beta) - F.col("degree")) * F.col("score") + F.col("z")).alias("score"))
-        scores = linalg.anchored(moved)
+        before, scores = scores, linalg.anchored(moved)
+        forget(before)
         if opts.rounds is None and k % opts.check_every == 0:
             new = written(_unit_diffs(scores, pos), "diffs")
             delta = float("inf") if old is None else new.join(old.select("pos", F.col("diff").alias("before")), "pos").agg(F.sqrt(F.sum(F.pow(F.col("diff") - F.col("before"), 2)))).first()[0]
             trace.append({"iter": k, "delta": float(delta), "rayleigh": None, "millis": int(1000 * (time.time() - began))})
+            forget(old)
             old = new
             if delta < opts.tol:
                 break

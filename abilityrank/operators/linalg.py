@@ -12,7 +12,7 @@ from pyspark.sql.window import Window
 
 from ..functions.draws import uniform_draw
 from ..model import OPTION, SizeGuardError
-from ..plans.storage import written
+from ..plans.storage import derived, written
 
 BROADCAST_OPTIONS = 5_000_000
 
@@ -65,7 +65,7 @@ def anchored(scores: DataFrame) -> DataFrame:
         return kept
     size = max(abs(ends["low"] - ends["anchor"]), abs(ends["high"] - ends["anchor"]))
     moved = F.col("score") - F.lit(ends["anchor"])
-    return kept.select("user_id", (moved / F.lit(size) if size > 0 else moved * 0.0).alias("score"))
+    return derived(kept.select("user_id", (moved / F.lit(size) if size > 0 else moved * 0.0).alias("score")), kept)
 
 
 def update_matrix(responses: DataFrame, most_users: int = 20_000) -> DataFrame:

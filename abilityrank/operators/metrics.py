@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -52,10 +53,27 @@ def kendall_df(predicted: DataFrame, truth: DataFrame, most_users: int = 5_000)
     return n.select("concordant", "discordant", ((F.col("concordant") - F.col("discordant")) / F.sqrt(F.col("nx").cast("double") * F.col("ny"))).alias("tau"))
 
 
-def kendall_large(predicted: DataFrame, truth: DataFrame, block: int = 4_000) -> float | None:
-    """tau-a without ties: blocks of positions are merged by counts, so no task sees all pairs at once."""
+def inversions(v: np.ndarray) -> int:
+    """Pairs in the wrong order, by merging sorted halves, all pairs of halves of a width at once."""
+    n = len(v)
+    x, at = np.argsort(np.argsort(v, kind="stable"), kind="stable"), np.arange(n)
+    total, width = 0, 1
+    while width < n:
+        block = at // (2 * width)
+        keyed = x + block * n
+        left = at // width % 2 == 0
+        ends = np.searchsorted(at[left], (block[~left] + 1) * 2 * width)  # of the left halves up to this block
+        total += int((ends - np.searchsorted(keyed[left], keyed[~left])).sum())
+        x = np.sort(keyed) - block * n
+        width *= 2
+    return total
+
+
+def kendall_large(predicted: DataFrame, truth: DataFrame, block: int = 200_000) -> float | None:
+    """tau-a without ties: pairs within a block of either order are counted where the block is, those
+    apart in both from the numbers of users by pair of blocks, (users / block) squared of them."""
     ranked = global_rank(predicted.select("user_id", "score"), ["score", "user_id"], "p").join(global_rank(truth.select("user_id", "score"), ["score", "user_id"], "q").select("user_id", "q"), "user_id").select("p", "q")
-    cells = ranked.select("p", "q", F.floor((F.col("p") - 1) / block).alias("bp"), F.floor((F.col("q") - 1) / block).alias("bq"))
+    cells = ranked.select("p", "q", F.floor((F.col("p") - 1) / block).cast("int").alias("bp"), F.floor((F.col("q") - 1) / block).cast("int").alias("bq"))
     n = ranked.count()
     if n < 2:
         return None
@@ -63,17 +81,20 @@ def kendall_large(predicted: DataFrame, truth: DataFrame, block: int = 4_000) ->
     def inside(axis, value):
         def count(pdf: pd.DataFrame) -> pd.DataFrame:
             order = pdf.sort_values(axis)
-            v, other = order[value].to_numpy(), order["bq" if axis == "p" else "bp"].to_numpy()
-            bad = sum(int((v[:i] > v[i]).sum() if axis == "p" else ((v[:i] > v[i]) & (other[:i] != other[i])).sum()) for i in range(len(v)))
+            v, other = order[value].to_numpy(), order["bp"].to_numpy()
+            bad = inversions(v) - (sum(inversions(v[other == o]) for o in np.unique(other)) if axis == "q" else 0)
             return pd.DataFrame({"bad": [bad]})
 
         return count
 
     same_p = cells.groupBy("bp").applyInPandas(inside("p", "q"), "bad long").agg(F.sum("bad")).first()[0]
     same_q = cells.groupBy("bq").applyInPandas(inside("q", "p"), "bad long").agg(F.sum("bad")).first()[0]
-    grid = cells.groupBy("bp", "bq").agg(F.count("*").alias("n"))  # at most (blocks squared) rows
-    a, b = grid.alias("a"), grid.alias("b")
-    apart = a.join(b, (F.col("a.bp") < F.col("b.bp")) & (F.col("a.bq") > F.col("b.bq"))).agg(F.coalesce(F.sum(F.col("a.n") * F.col("b.n")), F.lit(0))).first()[0]
+    blocks = -(-n // block)
+    grid = np.zeros((blocks + 1, blocks + 1), np.int64)
+    for r in cells.groupBy("bp", "bq").agg(F.count("*").alias("n")).collect():
+        grid[r["bp"], r["bq"]] = r["n"]
+    behind = grid[::-1].cumsum(0)[::-1].cumsum(1)  # users from a block on in p and up to a block in q
+    apart = int((grid[:-1, 1:] * behind[1:, :-1]).sum())
     return 1 - 4 * (same_p + same_q + apart) / (n * (n - 1))
 
 

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import OPTION, Opts, SizeGuardError, option_dictionary
-from ..plans.storage import written
+from ..plans.storage import forget, written
 from . import linalg
 
 
@@ -197,14 +197,18 @@ def _sql_power(responses: DataFrame, opts: Opts, step: str, init: DataFrame | No
         began = time.time()
         if step == "diff":  # differences back to scores, from 0 on
             scores = linalg.from_diffs(linalg.to_diffs(scores, pos), pos)
+        before = scores
         _, scores = linalg.avg_step(rows, scores, n_options)
         scores = linalg.anchored(scores)
+        if before is not init:
+            forget(before)
         last = k == limit
         measured = opts.rounds is None and (k % opts.check_every == 0 or last)
         if measured:
             new = written(_unit_diffs(scores, pos), "diffs")
             delta = float("inf") if old is None else new.join(old.select("pos", F.col("diff").alias("before")), "pos").agg(F.sqrt(F.sum(F.pow(F.col("diff") - F.col("before"), 2)))).first()[0]
             trace.append({"iter": k, "delta": float(delta), "rayleigh": None, "millis": int(1000 * (time.time() - began))})
+            forget(old)
             old = new
             if delta < opts.tol:
                 break

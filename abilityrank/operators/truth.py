@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..model import OPTION, Opts
-from ..plans.storage import written
+from ..plans.storage import derived, forget, written
 from . import linalg
 from .spectral import Result
 
@@ -17,29 +17,32 @@ FIXED_ROUNDS = 10
 def _normalised(scores: DataFrame, how: str) -> DataFrame:
     kept = written(scores, "scores")
     size = kept.agg({"l2": F.sqrt(F.sum(F.col("score") * F.col("score"))), "max": F.max("score")}[how]).first()[0]
-    return kept.select("user_id", (F.col("score") / F.lit(size or 1.0)).alias("score"))
+    return derived(kept.select("user_id", (F.col("score") / F.lit(size or 1.0)).alias("score")), kept)
 
 
 def _rounds(responses: DataFrame, start: float, step, opts: Opts, default: int | None) -> Result:
-    rows = linalg.layout(responses)
+    """Answers are laid out by user once, with the user's number of them (``n``); a round writes one table of
+    scores and deletes the one before."""
+    degree = F.count("*").over(Window.partitionBy("user_id"))
+    rows = responses.repartition("user_id").withColumn("n", degree).persist()
+    n_options = rows.select(*OPTION).distinct().count()
     scores = rows.select("user_id").distinct().withColumn("score", F.lit(start))
     limit = opts.rounds if opts.rounds is not None else default or opts.max_iter
     k = 0
     for k in range(1, limit + 1):
-        new = step(rows, scores)
+        new, change = step(rows, scores, n_options), None
         if opts.rounds is None and default is None:
             change = new.join(scores.withColumnRenamed("score", "old"), "user_id").agg(F.sqrt(F.sum(F.pow(F.col("score") - F.col("old"), 2)))).first()[0]
-            scores = new
-            if change < opts.tol:
-                break
-        else:
-            scores = new
+        forget(scores)
+        scores = new
+        if change is not None and change < opts.tol:
+            break
     return Result(scores, k)
 
 
 def hits(responses: DataFrame, opts: Opts = Opts()) -> Result:
     """Sums both ways, length 1: the top eigenvector of co-answering."""
-    return _rounds(responses, 1.0, lambda r, s: _normalised(linalg.user_sums(r, linalg.option_sums(r, s)), "l2"), opts, None)
+    return _rounds(responses, 1.0, lambda r, s, k: _normalised(linalg.user_sums(r, linalg.option_sums(r, s), k), "l2"), opts, None)
 
 
 def option_beliefs(rows: DataFrame, scores: DataFrame, floor: float = 1e-12) -> DataFrame:
@@ -51,34 +54,33 @@ def option_beliefs(rows: DataFrame, scores: DataFrame, floor: float = 1e-12) ->
 def truthfinder(responses: DataFrame, opts: Opts = Opts(), start: float = 0.9, untied: bool = False) -> Result:
     """Trust is the mean belief in the options picked.  With many choosers beliefs round to 1 and
     trust ties; ``untied`` gives the mean log-odds of the options in the end, in the same order."""
-    out = _rounds(responses, start, lambda r, s: written(linalg.user_means(r, option_beliefs(r, s).select(*OPTION, "weight")), "scores"), opts, None)
+    out = _rounds(responses, start, lambda r, s, k: written(linalg.user_means(r, option_beliefs(r, s).select(*OPTION, "weight"), k), "scores"), opts, None)
     if untied:
         odds = option_beliefs(responses, out.scores).select(*OPTION, F.col("log_odds").alias("weight"))
         return Result(linalg.user_means(responses, odds), out.rounds)
     return out
 
 
-def _invest(rows: DataFrame, scores: DataFrame, power: float, pooled: bool) -> DataFrame:
-    picks = rows.groupBy("user_id").agg(F.count("*").alias("n"))
-    stakes = rows.join(scores, "user_id").join(picks, "user_id").select("user_id", *OPTION, (F.col("score") / F.col("n")).alias("stake"))
+def _invest(rows: DataFrame, scores: DataFrame, n_options: int, power: float, pooled: bool) -> DataFrame:
+    stakes = rows.join(scores, "user_id").select("user_id", *OPTION, (F.col("score") / F.col("n")).alias("stake"))
     options = stakes.groupBy(*OPTION).agg(F.sum("stake").alias("invested")).withColumn("grown", F.pow("invested", F.lit(power)))
     if pooled:
         item = Window.partitionBy("item_id")
         options = options.withColumn("value", F.coalesce(F.try_divide(F.col("invested") * F.col("grown"), F.sum("grown").over(item)), F.lit(0.0)))
     else:
         options = options.withColumn("value", F.col("grown"))
-    gains = stakes.join(options, OPTION).groupBy("user_id").agg(F.coalesce(F.sum(F.try_divide(F.col("value") * F.col("stake"), F.col("invested"))), F.lit(0.0)).alias("score"))
+    gains = linalg._back(stakes, options, n_options).groupBy("user_id").agg(F.coalesce(F.sum(F.try_divide(F.col("value") * F.col("stake"), F.col("invested"))), F.lit(0.0)).alias("score"))
     return _normalised(gains, "max")
 
 
 def investment(responses: DataFrame, opts: Opts = Opts(), power: float = 1.2) -> Result:
     """Trust is spread over picks, grows there and is paid back by share; a fixed number of rounds."""
-    return _rounds(responses, 1.0, lambda r, s: _invest(r, s, power, False), opts, FIXED_ROUNDS)
+    return _rounds(responses, 1.0, lambda r, s, k: _invest(r, s, k, power, False), opts, FIXED_ROUNDS)
 
 
 def pooled_investment(responses: DataFrame, opts: Opts = Opts(), power: float = 1.4, reverse: bool = False) -> Result:
     """As investment, with an item's total kept and only its shares grown."""
-    out = _rounds(responses, 1.0, lambda r, s: _invest(r, s, power, True), opts, FIXED_ROUNDS)
+    out = _rounds(responses, 1.0, lambda r, s, k: _invest(r, s, k, power, True), opts, FIXED_ROUNDS)
     return Result(out.scores.withColumn("score", -F.col("score")), out.rounds) if reverse else out
 
 

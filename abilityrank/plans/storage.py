@@ -24,4 +24,22 @@ def written(df: DataFrame, name: str = "state") -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_root(spark)}/{name}-{uuid.uuid4().hex[:12]}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._table = path
+    return out
+
+
+def derived(df: DataFrame, table: DataFrame) -> DataFrame:
+    """df, which reads only the written ``table``, known by it for ``forget``."""
+    df._table = getattr(table, "_table", None)
+    return df
+
+
+def forget(df: DataFrame | None) -> None:
+    """Deletes the table of a state that a later one, already written, has replaced."""
+    path = getattr(df, "_table", None)
+    if path:
+        spark = df.sparkSession
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+        df._table = None

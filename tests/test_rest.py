@@ -248,6 +248,20 @@ def test_wins_means_and_timings(spark):
     assert [(t["variant"], t["repeats"]) for t in took] == [("gram", 2)]
 
 
+def test_superseded_tables_are_deleted(spark):
+    import os
+
+    from abilityrank.plans.storage import shared_root
+
+    root = shared_root(spark).replace("file://", "")
+    held = lambda: {x for x in os.listdir(root) if x.startswith("scores-")}
+    for run in (lambda r: truth.hits(r, Opts(rounds=4)), lambda r: spectral.diffprop_power(r, Opts(rounds=4, path="sql")), lambda r: fiedler.fiedler_power(r, Opts(rounds=4))):
+        before = held()
+        assert run(path_data(spark)).scores.count() == 4 and len(held() - before) == 1
+    scores = spark.createDataFrame([(1, 0.0), (2, 2.0)], "user_id long, score double")
+    assert [r["score"] for r in components.teleport(scores, 0.5).orderBy("user_id").collect()] == [0.5, 1.5]
+
+
 def test_deflation_schemes_agree(spark):
     r = path_data(spark)
     order = lambda res: [x["user_id"] for x in res.scores.orderBy("score").collect()]
