@@ -78,16 +78,23 @@ def generate(users: DataFrame, items: DataFrame, model: str, seed=42, answered=1
     return drawn.select(*keys, "option_id", "theta", correct.alias("correct"), grade.cast("int").alias("grade"))
 
 
+def _first(df: DataFrame, key: str, runs: DataFrame, size: str) -> DataFrame:
+    """The rows with the smallest keys, numbered from 1, as many as the largest run needs."""
+    most = runs.agg(F.max(size)).first()[0] or 0
+    return df.orderBy(key).limit(int(most)).withColumn("_at", F.row_number().over(Window.orderBy(key)))  # bounded by the run's size
+
+
 def users_of_runs(df: DataFrame, key: str, value: str, runs: DataFrame) -> DataFrame:
-    """run, user_id, theta in [0, 1]: for each run the users with ids up to its m.  runs: few rows."""
-    some = df.select(F.col(key).cast("long").alias("user_id"), F.col(value).cast("double").alias("v")).join(F.broadcast(runs.select("run", "m")), F.col("user_id") <= F.col("m"))
+    """run, user_id, theta in [0, 1]: for each run its first m users.  runs: few rows."""
+    named = df.select(F.col(key).cast("long").alias("user_id"), F.col(value).cast("double").alias("v"))
+    some = _first(named, "user_id", runs, "m").join(F.broadcast(runs.select("run", "m")), F.col("_at") <= F.col("m")).drop("_at")
     ends = some.groupBy("run").agg(F.min("v").alias("lo"), F.max("v").alias("hi"))
     return some.join(F.broadcast(ends), "run").select("run", "user_id", F.when(F.col("hi") > F.col("lo"), (F.col("v") - F.col("lo")) / (F.col("hi") - F.col("lo"))).otherwise(0.0).alias("theta"))
 
 
 def items_of_runs(df: DataFrame, key: str, runs: DataFrame) -> DataFrame:
-    """``items_from`` for each run (n, k, a_max, low, high, seed), which keeps seed and answered."""
-    some = df.select(F.col(key).cast("long").alias("item_id")).join(F.broadcast(runs), F.col("item_id") <= F.col("n"))
+    """``items_from`` for each run (its first n items; k, a_max, low, high, seed), which keeps seed and answered."""
+    some = _first(df.select(F.col(key).cast("long").alias("item_id")), "item_id", runs, "n").join(F.broadcast(runs), F.col("_at") <= F.col("n")).drop("_at")
     draw = lambda tag, h: uniform_draw("item_id", F.lit(tag), h, F.col("seed"))
     place = lambda u: u * (F.col("high") - F.col("low")) + F.col("low")
     options = F.sequence(F.lit(0), F.col("k") - 1)

@@ -195,11 +195,11 @@ def test_estimator_of_a_group_equals_that_of_a_frame(spark):
 def test_runs_are_drawn_as_single_sets(spark):
     runs = workloads._runs(spark, [{"seed": 7, "m": 20, "n": 9, "k": 4, "experiment": "x", "param": "n", "value_of_param": 1.0}, {"seed": 8, "m": 20, "n": 5, "answered": 0.5, "experiment": "x", "param": "n", "value_of_param": 2.0}])
     items = generate.items_of_runs(rsets.table(spark, SF, "part"), "p_partkey", runs)
-    one = generate.items_from(rsets.table(spark, SF, "part"), "p_partkey", 9, 4, seed=7)
+    one = generate.items_from(rsets.table(spark, SF, "part"), "p_partkey", 8, 4, seed=7)  # ids begin at 0
     assert sorted(map(tuple, items.where("run = 0").select("item_id", "a", "slopes", "places", "thresholds").collect())) == sorted(map(tuple, one.collect()))
     users = generate.users_of_runs(rsets.table(spark, SF, "customer"), "c_custkey", "c_acctbal", runs)
     data = workloads.answers_of_runs(users, items, runs)
-    single = generate.generate(generate.users_from(rsets.table(spark, SF, "customer"), "c_custkey", "c_acctbal", 20), one, "nominal_guess", 7)
+    single = generate.generate(generate.users_from(rsets.table(spark, SF, "customer"), "c_custkey", "c_acctbal", 19), one, "nominal_guess", 7)
     assert sorted(map(tuple, data.where("run = 0").select("user_id", "item_id", "option_id").collect())) == sorted(map(tuple, single.collect()))
     assert 0 < data.where("run = 1").count() < 100
     key, order = generate.answer_key(one, "nominal_guess"), generate.option_order(one, "nominal_guess")
