@@ -29,7 +29,7 @@ from . import kernels as K
 from .components import components
 from .shared import materialise
 
-BUCKET_BITS = 20
+BUCKET_BITS = 18
 BUCKETS = 1 << BUCKET_BITS
 SLOTS = 1 << 14
 MOST_TURNS = 4
@@ -349,7 +349,7 @@ def _apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
     return pairs.join(at("key"), "key").join(at("centre"), "centre").where("rkey <> rcentre").select("key", "centre", "bands")
 
 
-def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows: int = 4, rare: float = 0.0005, seed: int = 5) -> DataFrame:
+def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows: int = 4, rare: float = 0.002, seed: int = 5) -> DataFrame:
     """doc_id, class_id (the smallest doc_id of its class), class_size; one row for each row."""
     spark = docs.sparkSession
     keyed = materialise(text_keys(docs), "keys")

@@ -229,7 +229,7 @@ def test_near_duplicates_against_all_pairs(spark, odd):
     found = {r["doc_id"]: r["class_id"] for r in weighted_minhash.near_duplicates(docs).collect()}
     bags = {d: Counter(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4)) if w) for d, t in as_rows(docs) for w in [t.split()]}
     df = Counter(x for bag in bags.values() for x in bag)
-    weigh = lambda bag: {x: n * np.log1p(len(bags) / max(df[x], 0.0005 * len(bags))) for x, n in bag.items()}
+    weigh = lambda bag: {x: n * np.log1p(len(bags) / max(df[x], 0.002 * len(bags))) for x, n in bag.items()}
     weights = {d: weigh(bag) for d, bag in bags.items()}
     parent = {d: d for d in bags}
 
