@@ -339,6 +339,29 @@ def test_external_induction_equals_the_vectorised_one():
         assert found == {(i, back) for (back, _), own in where.items() if len(own) > 1 for i in own}
 
 
+def test_induced_suffixes_with_zero_bytes(spark):
+    """Zero bytes at the end of a context are text, not padding; the smallest doc_id is not null."""
+    rng, n, missed = Random(1), 12, 0
+    for _ in range(300):
+        cases = {}
+        for _ in range(rng.randint(3, 12)):
+            place = rng.randint(0, n - 4)
+            count = place - rng.randint(0, place) + 1
+            text = bytes(rng.choice(b"ab") for _ in range(place)) + b"@ANC" + bytes(rng.choice(b"\0\0\0a") for _ in range(n))
+            cases[text[: count + n - 1]] = place, count
+        place, count = (np.array(x) for x in zip(*cases.values()))
+        hit = suffix_dedup.induce(np.zeros(len(cases), np.int64), list(cases), place, count, n)
+        where = defaultdict(set)
+        for i, (text, (p, c)) in enumerate(cases.items()):
+            for t in range(c):
+                where[p - t, text[t : t + n]].add(i)
+        missed += {(i, back) for (back, _), own in where.items() if len(own) > 1 for i in own} != {(int(a), int(b)) for a, b in zip(*np.nonzero(hit))}
+    assert not missed
+    rows = [(-(1 << 63), "x" * 900), (None, "x" * 900), (1, "\0" * 900)]
+    got = suffix_dedup.dedup_bytes(spark.createDataFrame(rows, "doc_id long, text string")).select("doc_id", "n_bytes", "n_removed").collect()
+    assert Counter(map(tuple, got)) == Counter((d, 900, 900) for d, _ in rows)
+
+
 def test_packing_places_everything(spark, odd):
     tok = encode.PieceEncoder.get(encode.vocabulary("word_bpe_49k.json"), False).tok
     docs = odd.select("doc_id", "text").union(spark.read.parquet(f"{SF}/documents.parquet").select(F.col("doc_id") + 100, "text"))
