@@ -292,6 +292,21 @@ def test_fingerprint_index_compacts(spark, odd):
     assert len(small.runs) == 2 and sorted(map(tuple, found.collect())) == cuts
 
 
+def test_fingerprint_indexes_of_one_folder_take_turns(spark):
+    docs = lambda i, letter: spark.createDataFrame([(i, " ".join(letter + str(k) for k in range(60)))], "doc_id long, text string")
+    one = fingerprint_index.FingerprintIndex(spark)
+    one.ingest(docs(1, "a"))
+    two = fingerprint_index.FingerprintIndex.open(spark.newSession(), one.folder)
+    one.ingest(docs(2, "b"))
+    two.ingest(docs(3, "c"))
+    one.compact()
+    two.compact()  # its first run is merged already
+    last = fingerprint_index.FingerprintIndex.open(spark, one.folder)
+    assert len(last.runs) == 2 and len(last.texts) == 3
+    for i, letter in enumerate("abc"):
+        assert {x for r in last.ingest(docs(10 + i, letter)).collect() for x in range(r["start"], r["end"])} == set(range(60))
+
+
 @pytest.mark.parametrize("memory", [8000, 12])
 def test_induced_suffixes_against_brute_force(spark, odd, memory):
     docs = odd.select("doc_id", "text").union(spark.read.parquet(f"{SF}/documents.parquet").select(F.col("doc_id") + 100, "text"))
