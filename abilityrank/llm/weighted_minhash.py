@@ -1,11 +1,10 @@
 """Near-duplicates by improved consistent weighted sampling over TF-IDF shingles.
 
 A shingle is five consecutive words (a shorter text is one shingle).  Its weight in a document is
-its count times ``ln(1 + N / max(df, rare * N))``: a shingle in less than the share ``rare`` of the
-N documents has the weight of that share, so only the document frequencies of common shingles are
-needed, and there are at most (mean words) / rare of those however many documents there are.  They
-are exact: hash buckets are counted over all documents, then the shingles of buckets that reach the
-share.
+its count times ``ln(1 + N / df)`` of N documents.  The document frequency of every shingle is exact:
+each unit of some consecutive texts deals its distinct shingles out by hash, the counts come back to the
+unit as one file in the shared folder, and a second reading of the texts finds it by the hash of its
+texts.  So texts are read twice in equal batches; a plan that might not give them is written out first.
 
 Each text gets ``bands * rows`` samples; the chance that two texts share one is their weighted
 Jaccard similarity.  Texts that share all samples of a band are candidates.  In every band's bucket
@@ -20,6 +19,12 @@ texts alone.  Extra columns are ignored; empty tables give no rows.
 
 from __future__ import annotations
 
+import gc
+import hashlib
+import re
+import time
+import uuid
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -27,11 +32,10 @@ from pyspark.sql import functions as F
 
 from . import kernels as K
 from .components import components
-from .shared import materialise
+from .shared import materialise, open_fs, shared_dir, small_batches
 
-BUCKET_BITS = 18
-BUCKETS = 1 << BUCKET_BITS
 SLOTS = 1 << 14
+UNIT_SHINGLES = 1 << 19
 MOST_TURNS = 4
 _draws: dict[tuple, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
 
@@ -65,75 +69,100 @@ def _texts(docs: DataFrame) -> DataFrame:
     return docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long"), "text")
 
 
-def common_shingles(docs: DataFrame, rare: float, total: int) -> DataFrame:
-    """shingle, df of all shingles in at least the share ``rare`` of the documents."""
+def _release(spark) -> None:
+    """Spark drops the shuffle files of plans that are done when the driver collects garbage: Python's
+    hold on them, then Java's, which takes some turns."""
+    gc.collect()
+    for _ in range(4):
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.25)
+
+
+def _settled(docs: DataFrame) -> DataFrame:
+    """docs, written out unless its plan only reads files: two readings must give equal batches."""
+    docs = docs.select("doc_id", "text")
+    plan = docs._jdf.queryExecution().executedPlan().toString()
+    nodes = {re.sub(r"^[\s:+*()\d-]*", "", line).split(" ")[0].split("(")[0] for line in plan.splitlines() if line.strip()}
+    return docs if nodes <= {"FileScan", "Project", "Filter", "ColumnarToRow", "Union"} else materialise(docs, "documents")
+
+
+def _units(batch: pa.RecordBatch, keep: bool, most: int = UNIT_SHINGLES):
+    """Consecutive blocks of texts with about ``most`` shingles: for each such unit (hash, row, count and
+    text keys of each block if they are to be kept, the unit's distinct shingles, in how many of its texts, its name)."""
+    blocks, held, size, name = [], [], 0, hashlib.blake2b(digest_size=8)
+
+    def unit():
+        own, n = np.unique(np.concatenate(held), return_counts=True)
+        return blocks, own, n.astype(np.uint32), int.from_bytes(name.digest(), "little", signed=True)
+
+    for block in K.text_blocks(batch.column(0)):
+        h, row, keys = shingles(block)
+        h, row, counts = distinct_in_rows(h, row)
+        name.update(keys.tobytes())
+        held.append(h)
+        size += len(h)
+        if keep:
+            blocks.append((h, row, counts, keys))
+        if size >= most:
+            yield unit()
+            blocks, held, size, name = [], [], 0, hashlib.blake2b(digest_size=8)
+    if size:
+        yield unit()
+
+
+def document_frequencies(docs: DataFrame, words: int, bucket_rows: int = 1 << 21) -> str:
+    """A folder with one file for each unit of texts: the document frequencies of its distinct shingles,
+    by hash.  Hashes travel in ``bucket_rows`` or so a group and without their highest byte, which the
+    bucket tells."""
     spark = docs.sparkSession
-    texts = _texts(docs).select("text")
-    pieces = 64
+    bits = min(max(8, (words // bucket_rows).bit_length()), 20)
+    folder = shared_dir(spark, "frequencies")
 
-    def bucket_counts(batches):
-        counts = np.zeros(BUCKETS, np.int64)
-        held, size = [], 0
-        for batch in batches:
-            for block in K.text_blocks(batch.column(0)):
-                h, row, _ = shingles(block)
-                h, _, _ = distinct_in_rows(h, row)
-                held.append((h >> np.uint64(64 - BUCKET_BITS)).astype(np.int32))
-                size += len(h)
-                if size > BUCKETS:
-                    counts += np.bincount(np.concatenate(held), minlength=BUCKETS)
-                    held, size = [], 0
-        if held:
-            counts += np.bincount(np.concatenate(held), minlength=BUCKETS)
-        if counts.any():
-            yield pa.RecordBatch.from_arrays([pa.array(range(pieces), pa.int32()), pa.array([x.astype(np.uint32).tobytes() for x in np.split(counts, pieces)], pa.binary())], ["piece", "counts"])
-
-    def add_up(batches):
-        sums: dict[int, np.ndarray] = {}
+    def deal(batches):
         for batch in batches:
-            for piece, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                x = np.frombuffer(raw, np.uint32)
-                sums[piece] = sums[piece] + x if piece in sums else x.astype(np.int64)
-        for piece, x in sums.items():
-            at = np.flatnonzero(x >= rare * total)
-            if len(at):
-                yield pa.RecordBatch.from_arrays([pa.array(at + piece * (BUCKETS // pieces))], ["bucket"])
-
-    counts = texts.mapInArrow(bucket_counts, "piece int, counts binary").repartition(pieces, "piece")
-    # at most (mean words) / rare of them
-    heavy = np.zeros(BUCKETS, bool)
-    heavy[[r[0] for r in counts.mapInArrow(add_up, "bucket long").collect()]] = True
-    sent = spark.sparkContext.broadcast(np.packbits(heavy))
-
-    def in_heavy(batches):
-        marked = np.unpackbits(sent.value).astype(bool)
-        for batch in batches:
-            for block in K.text_blocks(batch.column(0)):
-                h, row, _ = shingles(block)
-                keep = marked[(h >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)]
-                h, _, _ = distinct_in_rows(h[keep], row[keep])
-                own, n = np.unique(h, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(K.signed(own)), pa.array(n)], ["shingle", "n"])
-
-    return texts.mapInArrow(in_heavy, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("df")).where(F.col("df") >= rare * total)
-
-
-class Weights:
-    """tf-idf from the common shingles' document frequencies."""
-
-    def __init__(self, common: list[tuple[int, int]], total: int, rare: float):
-        common = sorted(common)
-        self.hash = np.array([h for h, _ in common], np.int64)
-        self.idf = np.log1p(total / np.array([max(n, rare * total) for _, n in common], np.float64)) if common else np.zeros(0)
-        self.usual = float(np.log1p(1 / rare))
-
-    def of(self, h: np.ndarray, counts: np.ndarray) -> np.ndarray:
-        w = np.full(len(h), self.usual)
-        if len(self.hash):
-            at = np.minimum(np.searchsorted(self.hash, K.signed(h)), len(self.hash) - 1)
-            hit = self.hash[at] == K.signed(h)
-            w[hit] = self.idf[at[hit]]
-        return w * counts
+            for _, own, n, name in _units(batch, keep=False):
+                bucket, start = np.unique((own >> np.uint64(64 - bits)).astype(np.int32), return_index=True)
+                parts = [slice(x, y) for x, y in zip(start, [*start[1:], len(own)])]
+                raw = own.view(np.uint8).reshape(-1, 8)[:, :7]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(bucket), name)), pa.array(bucket), pa.array([raw[p].tobytes() for p in parts], pa.binary()), pa.array([n[p].tobytes() for p in parts], pa.binary())], ["unit", "bucket", "hashes", "n"])
+
+    def add_up(dealt: pa.Table) -> pa.Table:
+        raw = dealt.column("hashes").to_pylist()
+        h = np.zeros((sum(map(len, raw)) // 7, 8), np.uint8)
+        h[:, :7] = np.frombuffer(b"".join(raw), np.uint8).reshape(-1, 7)
+        order = np.argsort(h := h.view("<u8")[:, 0], kind="stable")
+        new = np.concatenate([[True], np.diff(h[order]) != 0])
+        sums = np.add.reduceat(np.frombuffer(b"".join(dealt.column("n").to_pylist()), np.uint32)[order].astype(np.int64), np.flatnonzero(new))
+        df = np.empty(len(h), np.uint32)
+        df[order] = sums[np.cumsum(new) - 1]
+        ends = np.cumsum([len(x) // 7 for x in raw])
+        return pa.table([dealt.column("unit"), dealt.column("bucket"), pa.array([df[x:y].tobytes() for x, y in zip([0, *ends], ends)], pa.binary())], names=["unit", "bucket", "df"])
+
+    def write(counted: pa.Table) -> pa.Table:
+        at = dict(zip(counted.column("bucket").to_pylist(), counted.column("df").to_pylist()))  # equal units: one of each
+        name, raw = counted.column("unit")[0].as_py(), b"".join(at[x] for x in sorted(at))
+        fs, path = open_fs(folder)
+        fs.create_dir(path, recursive=True)
+        part = f"{path}/part-{uuid.uuid4().hex}"
+        with fs.open_output_stream(part) as f:
+            f.write(len(raw).to_bytes(8, "little") + pa.compress(raw, "zstd", asbytes=True))
+        fs.move(part, f"{path}/{name}")
+        return pa.table([pa.array([len(raw) // 4], pa.int64())], names=["n"])
+
+    dealt = _texts(docs).select("text").mapInArrow(deal, "unit long, bucket int, hashes binary, n binary")
+    counted = dealt.groupBy("bucket").applyInArrow(add_up, "unit long, bucket int, df binary")
+    counted.groupBy("unit").applyInArrow(write, "n long").agg(F.sum("n")).collect()
+    return folder
+
+
+def _frequencies_of(folder: str, name: int) -> np.ndarray:
+    fs, path = open_fs(folder)
+    try:
+        with fs.open_input_stream(f"{path}/{name}") as f:
+            raw = f.read()
+    except FileNotFoundError:
+        raise ValueError("the texts came in another order when they were read again") from None
+    return np.frombuffer(pa.decompress(raw[8:], int.from_bytes(raw[:8], "little"), "zstd", asbytes=True), np.uint32)
 
 
 def _tables(samples: int, seed: int):
@@ -181,68 +210,55 @@ def consistent_samples(h: np.ndarray, weights: np.ndarray, first: np.ndarray, sa
     return K.mix(shingle ^ K.mix(level.astype(np.int64).view(np.uint64) + np.uint64(1)))
 
 
-def signatures(docs: DataFrame, weights, bands: int, rows: int, seed: int) -> DataFrame:
-    """key, samples (two bytes each), bands (one hash each) of every text with words."""
+def signatures(docs: DataFrame, folder: str, total: int, bands: int, rows: int, seed: int) -> DataFrame:
+    """Of every text with words: key, samples (two bytes each), bands (one hash each), shingles (four
+    bytes each, sorted) and their weights (four bytes each)."""
 
     def run(batches):
         for batch in batches:
-            for block in K.text_blocks(batch.column(0)):
-                h, row, keys = shingles(block)
-                h, row, counts = distinct_in_rows(h, row)
-                present, start = np.unique(row, return_index=True)
-                _, one = np.unique(keys[present], return_index=True)  # each text once
-                if not len(present):
-                    continue
-                first = np.concatenate([start, [len(h)]])
-                if len(one) < len(present):
-                    one = np.sort(one)
-                    take = K.concat_ranges(first[one], np.diff(first)[one])
-                    h, counts = h[take], counts[take]
-                    first = np.concatenate([[0], np.cumsum(np.diff(first)[one])])
-                    present = present[one]
-                s = consistent_samples(h, weights.value.of(h, counts), first, bands * rows, seed)
-                mixed = s.reshape(len(present), bands, rows)
-                key = np.full((len(present), bands), 0, np.uint64) + np.arange(bands, dtype=np.uint64)
-                for k in range(rows):
-                    key = K.mix(key * np.uint64(K.BASES[0]) + mixed[:, :, k])
-                yield pa.RecordBatch.from_arrays([pa.array(keys[present]), pa.array([x.tobytes() for x in (s >> np.uint64(48)).astype(np.uint16)], pa.binary()), pa.array(list(K.signed(key)), pa.list_(pa.int64()))], ["key", "samples", "bands"])
-
-    return _texts(docs).select("text").mapInArrow(run, "key long, samples binary, bands array<long>")
+            for blocks, own, _, name in _units(batch, keep=True):
+                idf = np.log1p(total / _frequencies_of(folder, name))
+                for h, row, counts, keys in blocks:
+                    present, start = np.unique(row, return_index=True)
+                    _, one = np.unique(keys[present], return_index=True)  # each text once
+                    if not len(present):
+                        continue
+                    first = np.concatenate([start, [len(h)]])
+                    if len(one) < len(present):
+                        one = np.sort(one)
+                        take = K.concat_ranges(first[one], np.diff(first)[one])
+                        h, counts = h[take], counts[take]
+                        first = np.concatenate([[0], np.cumsum(np.diff(first)[one])])
+                        present = present[one]
+                    weights = idf[np.searchsorted(own, h)] * counts
+                    s = consistent_samples(h, weights, first, bands * rows, seed)
+                    mixed = s.reshape(len(present), bands, rows)
+                    key = np.full((len(present), bands), 0, np.uint64) + np.arange(bands, dtype=np.uint64)
+                    for k in range(rows):
+                        key = K.mix(key * np.uint64(K.BASES[0]) + mixed[:, :, k])
+                    small, weights = (h >> np.uint64(32)).astype(np.uint32), weights.astype(np.float32)
+                    parts = [slice(x, y) for x, y in zip(first[:-1], first[1:])]
+                    samples = [x.tobytes() for x in (s >> np.uint64(48)).astype(np.uint16)]
+                    yield pa.RecordBatch.from_arrays([pa.array(keys[present]), pa.array(samples, pa.binary()), pa.array(list(K.signed(key)), pa.list_(pa.int64())), pa.array([small[p].tobytes() for p in parts], pa.binary()), pa.array([weights[p].tobytes() for p in parts], pa.binary())], ["key", "samples", "bands", "shingles", "weights"])
+
+    return _texts(docs).select("text").mapInArrow(run, "key long, samples binary, bands array<long>, shingles binary, weights binary")
 
 
 def text_keys(docs: DataFrame) -> DataFrame:
-    """doc_id and the hash of the text's words, null without any; for all rows with a doc_id."""
+    """doc_id, the hash of the text's words (null without any) and their number; for all rows with a doc_id."""
 
     def run(batches):
         for batch in batches:
-            keys, none = [], []
+            keys, sizes = [], []
             for block in K.text_blocks(batch.column(1)):
                 words = K.words_of(block)
                 keys.append(K.signed(K.row_hashes(words.hashes(block), words.first)))
-                none.append(np.diff(words.first) == 0)
+                sizes.append(np.diff(words.first))
             if keys:
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(keys), mask=np.concatenate(none))], ["doc_id", "key"])
-
-    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, key long")
-
-
-def _packed(docs: DataFrame, weights) -> DataFrame:
-    """key, shingles (four bytes each, sorted), weights (four bytes each) of texts, each once."""
-
-    def run(batches):
-        for batch in batches:
-            for block in K.text_blocks(batch.column(0)):
-                h, row, keys = shingles(block)
-                h, row, counts = distinct_in_rows(h, row)
-                w = weights.value.of(h, counts).astype(np.float32)
-                present, start = np.unique(row, return_index=True)
-                if not len(present):
-                    continue
-                small = (h >> np.uint64(32)).astype(np.uint32)
-                parts = [slice(a, b) for a, b in zip(start, [*start[1:], len(h)])]
-                yield pa.RecordBatch.from_arrays([pa.array(keys[present]), pa.array([small[p].tobytes() for p in parts], pa.binary()), pa.array([w[p].tobytes() for p in parts], pa.binary())], ["key", "shingles", "weights"])
+                n = np.concatenate(sizes)
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(keys), mask=n == 0), pa.array(n.astype(np.int32))], ["doc_id", "key", "words"])
 
-    return docs.mapInArrow(run, "key long, shingles binary, weights binary")
+    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, key long, words int")
 
 
 def weighted_jaccard(a: np.ndarray, wa: np.ndarray, b: np.ndarray, wb: np.ndarray) -> float:
@@ -349,15 +365,22 @@ def _apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
     return pairs.join(at("key"), "key").join(at("centre"), "centre").where("rkey <> rcentre").select("key", "centre", "bands")
 
 
-def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows: int = 4, rare: float = 0.002, seed: int = 5) -> DataFrame:
+def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows: int = 4, seed: int = 5) -> DataFrame:
     """doc_id, class_id (the smallest doc_id of its class), class_size; one row for each row."""
     spark = docs.sparkSession
+    small_batches(spark)
+    docs = _settled(docs)
     keyed = materialise(text_keys(docs), "keys")
-    total = keyed.count()
-    # bounded: (mean words) / rare rows
-    weights = spark.sparkContext.broadcast(Weights([(r["shingle"], r["df"]) for r in common_shingles(docs, rare, total).collect()] if total else [], max(total, 1), rare))
-    signed = signatures(docs, weights, bands, rows, seed).groupBy("key").agg(F.first("samples").alias("samples"), F.first("bands").alias("bands"))
-    signed = materialise(signed, "signatures")
+    total, words = keyed.agg(F.count("*"), F.coalesce(F.sum("words"), F.lit(0))).first()
+    pinned = spark.conf.get("spark.sql.files.minPartitionNum", None)
+    spark.conf.set("spark.sql.files.minPartitionNum", pinned or str(spark.sparkContext.defaultParallelism))  # files are split alike, however many executors are left
+    try:
+        folder = document_frequencies(docs, words)
+        _release(spark)
+        sets = materialise(signatures(docs, folder, total, bands, rows, seed), "sets")
+    finally:
+        spark.conf.unset("spark.sql.files.minPartitionNum") if pinned is None else None
+    signed = materialise(sets.groupBy("key").agg(F.first("samples").alias("samples"), F.first("bands").alias("bands")), "signatures")
     member = signed.select("key", F.posexplode("bands").alias("at", "band"))
     buckets = member.groupBy("band").agg(F.min("key").alias("one"), F.min(F.xxhash64("key")).alias("two"), F.count("*").alias("n")).where("n > 1")
     crowded = materialise(member.join(buckets, "band").select("band", "at", "key", "one", (F.xxhash64("key") == F.col("two")).alias("is_two")), "members")
@@ -365,10 +388,11 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 16, rows:
     stars = crowded.select("key", F.col("one").alias("centre")).union(crowded.join(second, "band").select("key", "two"))
     shared = stars.where("key <> centre").groupBy("key", "centre").agg(F.count("*").alias("bands"))
     pairs = materialise(shared, "pairs")
-    # full shingle sets of the texts that are in a crowded bucket
-    asked = keyed.join(crowded.select("key").distinct(), "key").groupBy("key").agg(F.min("doc_id").alias("doc_id"))
-    texts = _texts(docs).join(asked.select("doc_id").distinct(), "doc_id", "left_semi").select("text")
-    packed = materialise(_packed(texts, weights).dropDuplicates(["key"]), "shingles")
+    _release(spark)
+    # shingle sets of the texts that are in a crowded bucket
+    asked = crowded.select("key").distinct()
+    packed = materialise(sets.select("key", "shingles", "weights").join(asked, "key", "left_semi").dropDuplicates(["key"]), "shingles")
+    _release(spark)
     # each text is held against the centre it shares most bands with; then, again, against the next one
     # that is not yet of its class: a comparison within a class could not change it
     roots = materialise(signed.select(F.col("key").alias("node"), F.col("key").alias("root")), "roots")

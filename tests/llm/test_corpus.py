@@ -248,6 +248,26 @@ def test_near_duplicates_against_all_pairs(spark, odd):
     assert found == {d: top(d) for d in bags}
 
 
+def test_rare_shingles_are_weighted_by_their_own_frequency(spark):
+    """Shingles in one, two or four of 2,000 documents weigh differently, and that decides two classes."""
+    run = lambda name, n: [f"{name}{i}" for i in range(n)]
+    apart = [run("s", 169) + run("a", 20), run("s", 169) + run("b", 20)]  # 165 shared, 40 not: 0.805 unweighted
+    both = [run("t", 162) + run("c", 21), run("t", 162) + run("d", 21)]  # 158 shared, 42 not: 0.79 unweighted
+    echoes = [["t158", "t159", "t160", "t161"] + run(x, 21) for x in "cd" for _ in range(3)]
+    texts = apart + both + [x + [f"e{i}"] for i, x in enumerate(echoes)] + [run(f"x{i}y", 3) for i in range(1990)]
+    docs = spark.createDataFrame([(i, " ".join(x)) for i, x in enumerate(texts)], "doc_id long, text string").repartition(3)
+    got = {r["doc_id"]: r["class_id"] for r in weighted_minhash.near_duplicates(docs).where("doc_id < 4").collect()}
+    assert got == {0: 0, 1: 1, 2: 2, 3: 2}
+
+    docs = weighted_minhash._settled(docs)
+    folder = weighted_minhash.document_frequencies(docs, 10_000)
+    found = weighted_minhash.signatures(docs, folder, len(texts), 16, 4, 5).select("weights").collect()
+    bags = [Counter(tuple(x[k : k + 5]) for k in range(max(1, len(x) - 4))) for x in texts]
+    df = Counter(x for bag in bags for x in bag)
+    want = [sum(n * np.log1p(len(texts) / df[x]) for x, n in bag.items()) for bag in bags]
+    assert sorted(float(np.frombuffer(r["weights"], np.float32).astype(float).sum()) for r in found) == pytest.approx(sorted(want), rel=1e-6)
+
+
 def brute_windows(rows, n):
     first = {}
     for d, t in rows:
