@@ -7,9 +7,11 @@ so orders the leaves it would visit.  How many it visits is calibrated: the exac
 bounded set of queries are found by brute force over the whole table, and the visits widen until
 they would have found the wanted share.  Any query goes on until it has seen k other vectors.
 
-Leaves meet their queries in tiles of bounded numbers of vectors and queries, so that neither a
-leaf nor a query crowd is ever gathered in one task.  Of exact copies of a vector only the k + 1
-smallest ids travel: no query can return more.
+The two nearest leaves meet their queries in tiles of bounded numbers of vectors and queries, so that
+neither a leaf nor a query crowd is ever gathered in one task.  The further leaves, which may be most
+of them, are not joined with queries: each task holds a bounded chunk of vectors in the order of their
+leaves and reads the queries, one row each with the set of leaves it visits, from the shared folder in
+blocks.  Of exact copies of a vector only the k + 1 smallest ids travel: no query can return more.
 
 Vectors that are null, of another length than the sample's most frequent one, zero, or that hold
 nulls or non-finite values take no part; neither do rows without an id.  Rows that share an id are
@@ -27,7 +29,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .shared import materialise
+from . import kernels as K
+from .shared import materialise, open_fs, shared_dir
 
 
 @dataclass
@@ -73,8 +76,8 @@ class Tree:
                 todo.append((self.children[node][k], rows[nearest == k]))
         return out
 
-    def visits(self, vector: np.ndarray):
-        """Leaves in best-bin-first order."""
+    def visits(self, far: list[float]):
+        """Leaves in best-bin-first order; far has the negated cosine of every node's centre."""
         queue = [(0.0, 0)]
         while queue:
             _, node = heapq.heappop(queue)
@@ -82,8 +85,11 @@ class Tree:
             if not len(kids):
                 yield int(self.leaf[node])
                 continue
-            for d, k in zip((-(self.centres[kids] @ vector)).tolist(), kids.tolist()):
-                heapq.heappush(queue, (d, k))
+            for k in kids.tolist():
+                heapq.heappush(queue, (far[k], k))
+
+    def far(self, vectors: np.ndarray) -> list[list[float]]:
+        return (-(vectors @ self.centres.T)).tolist()
 
 
 def _split(vectors: np.ndarray, k: int, rounds: int, rng) -> list[tuple[np.ndarray, np.ndarray]]:
@@ -129,8 +135,15 @@ def _best(scores: np.ndarray, k: int) -> np.ndarray:
     return np.flatnonzero(scores >= np.partition(scores, len(scores) - k)[len(scores) - k])
 
 
-def _vectors_of(raw: pa.Array, width: int) -> np.ndarray:
-    return np.frombuffer(b"".join(raw.to_pylist()), np.float64).reshape(-1, width)
+def _paired(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The cosine of each row of a with the same row of b, whatever rows stand around them."""
+    return (a * b).sum(1) / np.linalg.norm(a, axis=1) / np.linalg.norm(b, axis=1)
+
+
+def _vectors_of(raw: list[bytes], width: int) -> np.ndarray:
+    """As doubles; of four or eight bytes a value."""
+    kind = np.float32 if raw and len(raw[0]) == 4 * width else np.float64
+    return np.frombuffer(b"".join(raw), kind).reshape(-1, width).astype(np.float64)
 
 
 def _place(df: DataFrame, tree, width: int, k: int) -> DataFrame:
@@ -139,13 +152,12 @@ def _place(df: DataFrame, tree, width: int, k: int) -> DataFrame:
     def run(batches):
         def flush(held):
             if held:
-                vectors = np.frombuffer(b"".join(held), np.float64).reshape(-1, width)
-                yield pa.RecordBatch.from_arrays([pa.array(tree.value.assign(_unit(vectors))), pa.array(list(held), pa.binary()), pa.array([sorted(x)[: k + 1] for x in held.values()], pa.list_(pa.int64()))], ["leaf", "vector", "ids"])
+                yield pa.RecordBatch.from_arrays([pa.array(tree.value.assign(_unit(_vectors_of(list(held), width)))), pa.array(list(held), pa.binary()), pa.array([sorted(x)[: k + 1] for x in held.values()], pa.list_(pa.int64()))], ["leaf", "vector", "ids"])
 
         held: dict[bytes, list[int]] = {}
         for batch in batches:
             rows, values = _dense(batch.column(1), width)
-            values = values + 0.0  # one zero
+            values = (values + 0.0).astype(np.float32 if pa.types.is_float32(batch.column(1).type.value_type) else np.float64)  # one zero
             for i, v in zip(batch.column(0).take(pa.array(rows)).to_pylist(), values):
                 ids = held.setdefault(v.tobytes(), [])
                 ids.append(i)
@@ -167,7 +179,7 @@ def brute_force(placed: DataFrame, queries: list[tuple[int, np.ndarray]], width:
         ids = [q for q, _ in sent.value]
         asked = np.array([v for _, v in sent.value]).reshape(-1, width)
         for batch in batches:
-            scores = cosines(asked, _vectors_of(batch.column(1), width))
+            scores = cosines(asked, _vectors_of(batch.column(1).to_pylist(), width))
             leaf, names = batch.column(0).to_numpy(), batch.column(2).to_pylist()
             out = [(q, i, int(leaf[j]), float(s[j])) for q, s in zip(ids, scores) for j in _best(s, k + 1) for i in names[j] if i != q]
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out) if out else ([], [], [], []), (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["query_id", "vec_id", "leaf", "score"])
@@ -180,6 +192,102 @@ def _ranked(found: DataFrame, k: int) -> DataFrame:
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
+def _top(query: np.ndarray, vec: np.ndarray, score: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The k best of each query, equal scores by vec."""
+    order = np.lexsort((vec, -score, query))
+    query, vec, score = query[order], vec[order], score[order]
+    first = np.flatnonzero(np.concatenate([[True], query[1:] != query[:-1]])) if len(query) else np.zeros(0, np.int64)
+    rank = np.arange(len(query)) - np.repeat(first, np.diff(np.concatenate([first, [len(query)]])))
+    return query[rank < k], vec[rank < k], score[rank < k]
+
+
+def _further(placed: DataFrame, folder: str, width: int, k: int, chunk: int = 1 << 17, block: int = 2_048, piece: int = 1_024, most: int = 1 << 18) -> DataFrame:
+    """query_id, vec_id, score of the vectors in the leaves that a query has in ``leaves`` that reach its bar.
+
+    placed is in the order of leaves; folder holds query_id, q, leaves (a bit a leaf), bar.  Products of single
+    precision find the pairs that may reach the bar, which rises as a block's pairs are found; those are computed anew."""
+    slack = 1e-6 + 2e-7 * width
+
+    def met(leaf: np.ndarray, raw: list[bytes], own: list[list[int]], fs, files: list[str]):
+        import pyarrow.parquet as pq
+
+        rows: dict[tuple[int, bytes], list[int]] = {}
+        for x, r, i in zip(leaf.tolist(), raw, own):
+            rows.setdefault((x, r), []).extend(i)
+        at = np.array([x for x, _ in rows], np.int64)
+        order = np.argsort(at, kind="stable")
+        names = [sorted(x)[: k + 1] for x in rows.values()]
+        raw = [r for _, r in rows]
+        names, raw, at = [names[i] for i in order], [raw[i] for i in order], at[order]
+        exact = np.frombuffer(b"".join(raw), np.float32 if len(raw[0]) == 4 * width else np.float64).reshape(-1, width)
+        unit = np.concatenate([_unit(exact[lo : lo + piece].astype(np.float64)).astype(np.float32) for lo in range(0, len(exact), piece)])
+        sizes = np.array([len(x) for x in names])
+        first, flat = np.concatenate([[0], np.cumsum(sizes)]), np.concatenate([np.array(x, np.int64) for x in names])
+        heads = [*np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]])).tolist(), len(at)]
+        pieces = [(lo, min(lo + piece, end)) for begin, end in zip(heads, heads[1:]) for lo in range(begin, end, piece)]
+        for file in files:
+            with fs.open_input_file(file) as f:
+                for asked in pq.ParquetFile(f).iter_batches(block):
+                    if not asked.num_rows:
+                        continue
+                    ids, bar = asked.column(0).to_numpy(), asked.column(3).to_numpy(zero_copy_only=False).copy()
+                    q = np.frombuffer(b"".join(asked.column(1).to_pylist()), np.float64).reshape(-1, width)
+                    seen = np.frombuffer(b"".join(asked.column(2).to_pylist()), np.uint8).reshape(len(ids), -1)
+                    u = _unit(q).astype(np.float32)
+                    held, n = [], 0
+                    for lo, hi in pieces:
+                        x = int(at[lo])
+                        some = np.flatnonzero(seen[:, x >> 3] >> (7 - (x & 7)) & 1)
+                        if not len(some):
+                            continue
+                        scores = u[some] @ unit[lo:hi].T
+                        floor = (bar[some] - slack).astype(np.float32)
+                        if hi - lo > 4 * k:  # a query whose bar is still low keeps its best and what may equal them
+                            low = np.flatnonzero((scores >= floor[:, None]).sum(1) > 4 * k)
+                            if len(low):
+                                floor[low] = np.maximum(floor[low], np.partition(scores[low], hi - lo - k - 1, axis=1)[:, hi - lo - k - 1] - np.float32(2 * slack))
+                        i, j = np.nonzero(scores >= floor[:, None])
+                        for a in range(0, len(i), most):
+                            i1, j1 = some[i[a : a + most]], j[a : a + most] + lo
+                            s = _paired(q[i1], exact[j1].astype(np.float64))
+                            good = s >= bar[i1]
+                            i1, j1, s = i1[good], j1[good], s[good]
+                            of = np.repeat(i1, sizes[j1])
+                            vec = flat[K.concat_ranges(first[j1], sizes[j1])]
+                            other = vec != ids[of]
+                            held.append((of[other], vec[other], np.repeat(s, sizes[j1])[other]))
+                            n += int(other.sum())
+                            if n > most:
+                                held = [_top(*map(np.concatenate, zip(*held)), k)]
+                                of, _, s = held[0]
+                                n = len(of)
+                                full = np.flatnonzero(np.bincount(of, minlength=len(bar)) == k)
+                                worst = np.full(len(bar), np.inf)
+                                np.minimum.at(worst, of, s)
+                                bar[full] = np.maximum(bar[full], worst[full])
+                    if n:
+                        of, vec, s = _top(*map(np.concatenate, zip(*held)), k)
+                        yield pa.RecordBatch.from_arrays([pa.array(ids[of]), pa.array(vec), pa.array(s)], ["query_id", "vec_id", "score"])
+
+    def run(batches):
+        from pyarrow.fs import FileSelector
+
+        fs, root = open_fs(folder)
+        files = sorted(x.path for x in fs.get_file_info(FileSelector(root)) if x.path.endswith(".parquet"))
+        leaf, raw, own = [], [], []
+        for batch in batches:
+            leaf.append(batch.column(0).to_numpy())
+            raw.extend(batch.column(1).to_pylist())
+            own.extend(batch.column(2).to_pylist())
+            if len(raw) >= chunk:
+                yield from met(np.concatenate(leaf), raw, own, fs, files)
+                leaf, raw, own = [], [], []
+        if raw:
+            yield from met(np.concatenate(leaf), raw, own, fs, files)
+
+    return placed.mapInArrow(run, "query_id long, vec_id long, score double")
+
+
 def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec_id", vector: str = "embedding", recall: float = 0.95, sample: int = 20_000, calibration: int = 128, tile: int = 2_048, branching: int = 8, least_leaf: int = 8, rows_a_leaf: int = 512) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of each row whose id ``every`` divides."""
     spark = df.sparkSession
@@ -204,7 +312,7 @@ def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec
     if not len(held) and not asked.limit(1).count():
         return empty
     true = brute_force(placed, list(zip(map(int, ids), vectors)), width, k).select("query_id", "leaf").toArrow().to_pydict()
-    order = {int(q): {leaf: i for i, leaf in enumerate(tree.value.visits(v))} for q, v in zip(ids, _unit(vectors) if len(vectors) else [])}
+    order = {int(q): {leaf: i for i, leaf in enumerate(tree.value.visits(far))} for q, far in zip(ids, tree.value.far(_unit(vectors)) if len(vectors) else [])}
     at = np.array([order[q][leaf] for q, leaf in zip(true["query_id"], true["leaf"])], np.int64)
     visits = 1
     while visits < n_leaves and len(at) and (at < visits).mean() < recall:
@@ -217,23 +325,25 @@ def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec
     def walk(batches):
         for batch in batches:
             rows, values = _dense(batch.column(1), width)
-            names = batch.column(0).take(pa.array(rows)).to_pylist()
-            leaf, query, vec, turn = [], [], [], []
-            for q, v, u in zip(names, values, _unit(values) if len(values) else []):
-                seen, gone = 0, 0
-                for x in tree.value.visits(u):
-                    here = counts.value.get(x, 0)
-                    if here:
-                        leaf.append(x)
-                        query.append(q)
-                        vec.append(v.tobytes())
-                        turn.append(gone)
-                    seen, gone = seen + here, gone + 1
-                    if gone >= visits and seen > k:
-                        break
-            yield pa.RecordBatch.from_arrays([pa.array(leaf, pa.int64()), pa.array(query, pa.int64()), pa.array(vec, pa.binary()), pa.array(turn, pa.int32())], ["leaf", "query_id", "q", "turn"])
-
-    walks = materialise(asked.mapInArrow(walk, "leaf long, query_id long, q binary, turn int"), "walks")
+            names = batch.column(0).take(pa.array(rows)).to_numpy()
+            for lo in range(0, len(names), 256):
+                some = values[lo : lo + 256]
+                near, leaves = [], np.zeros((len(some), n_leaves), bool)
+                for i, far in enumerate(tree.value.far(_unit(some))):
+                    seen, gone, first = 0, 0, []
+                    for x in tree.value.visits(far):
+                        here = counts.value.get(x, 0)
+                        if here and gone < 2:
+                            first.append(x)
+                        elif here:
+                            leaves[i, x] = True
+                        seen, gone = seen + here, gone + 1
+                        if gone >= visits and seen > k:
+                            break
+                    near.append(first)
+                yield pa.RecordBatch.from_arrays([pa.array(names[lo : lo + 256]), pa.array([v.tobytes() for v in some], pa.binary()), pa.array(near, pa.list_(pa.int64())), pa.array([x.tobytes() for x in np.packbits(leaves, axis=1)], pa.binary())], ["query_id", "q", "near", "leaves"])
+
+    walks = materialise(asked.mapInArrow(walk, "query_id long, q binary, near array<long>, leaves binary"), "walks")
     out_schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
 
     def meet(vectors: pa.Table, queries: pa.Table) -> pa.Table:
@@ -243,25 +353,27 @@ def neighbours(df: DataFrame, every: int = 50, k: int = 5, id_column: str = "vec
         for raw, own in zip(vectors.column("vector").to_pylist(), vectors.column("ids").to_pylist()):
             ids.setdefault(raw, []).extend(own)
         names = [sorted(x)[: k + 1] for x in ids.values()]
-        scores = cosines(_vectors_of(queries.column("q"), width), np.frombuffer(b"".join(ids), np.float64).reshape(-1, width))
-        bars = queries.column("bar").to_pylist()
-        out = [(q, i, float(s[j])) for q, bar, s in zip(queries.column("query_id").to_pylist(), bars, scores) for j in _best(s, k + 1) if s[j] >= bar for i in names[j] if i != q]
+        asked, held = _vectors_of(queries.column("q").to_pylist(), width), _vectors_of(list(ids), width)
+        out = []
+        for q, v, s in zip(queries.column("query_id").to_pylist(), asked, cosines(asked, held)):
+            best = _best(np.round(s, 12), k + 1)
+            out += [(q, i, x) for j, x in zip(best, _paired(v[None, :], held[best]).tolist()) for i in names[j] if i != q]
         return pa.table([pa.array(x, t) for x, t in zip(zip(*out) if out else ([], [], []), out_schema.types)], schema=out_schema)
 
     tiles = ["leaf", "vp", "qp"]
 
-    def met(some: DataFrame) -> DataFrame:
-        """some (leaf, query_id, q, bar) against the vectors of their leaves, in tiles."""
-        crowd = {r["leaf"]: r["n"] for r in some.groupBy("leaf").agg(F.count("*").alias("n")).collect()}
-        plan = spark.createDataFrame([(leaf, -(-m // tile), -(-crowd[leaf] // tile)) for leaf, m in sizes.items() if leaf in crowd] or [(-1, 1, 1)], "leaf long, v_parts int, q_parts int")
-        plan = F.broadcast(plan)  # one row a leaf
-        left = placed.join(plan, "leaf").select("leaf", F.pmod(F.xxhash64("vector"), F.col("v_parts")).cast("int").alias("vp"), F.explode(F.sequence(F.lit(0), F.col("q_parts") - 1)).alias("qp"), "vector", "ids")
-        right = some.join(plan, "leaf").select("leaf", F.explode(F.sequence(F.lit(0), F.col("v_parts") - 1)).alias("vp"), F.pmod(F.xxhash64("query_id"), F.col("q_parts")).cast("int").alias("qp"), "query_id", "q", "bar")
-        return left.groupBy(*tiles).cogroup(right.groupBy(*tiles)).applyInArrow(meet, "query_id long, vec_id long, score double")
+    crowd = {r["leaf"]: r["n"] for r in walks.select(F.explode("near").alias("leaf")).groupBy("leaf").agg(F.count("*").alias("n")).collect()}
+    plan = F.broadcast(spark.createDataFrame([(leaf, -(-m // tile), max(1, -(-crowd.get(leaf, 0) // tile)), leaf in crowd) for leaf, m in sizes.items()] or [(-1, 1, 1, False)], "leaf long, v_parts int, q_parts int, asked boolean"))  # one row a leaf
 
     # the nearest leaves first: what the others return must reach the k-th score found there
-    near = materialise(_ranked(met(walks.where("turn < 2").select("leaf", "query_id", "q", F.lit(-2.0).alias("bar"))), k), "near")
+    dealt = placed.join(plan, "leaf").withColumn("vp", F.pmod(F.xxhash64("vector"), F.col("v_parts")).cast("int"))
+    left = dealt.where("asked").select("leaf", "vp", F.explode(F.sequence(F.lit(0), F.col("q_parts") - 1)).alias("qp"), "vector", "ids")
+    right = walks.select("query_id", "q", F.explode("near").alias("leaf")).join(plan, "leaf").select("leaf", F.explode(F.sequence(F.lit(0), F.col("v_parts") - 1)).alias("vp"), F.pmod(F.xxhash64("query_id"), F.col("q_parts")).cast("int").alias("qp"), "query_id", "q")
+    met = left.groupBy(*tiles).cogroup(right.groupBy(*tiles)).applyInArrow(meet, "query_id long, vec_id long, score double")
+    near = materialise(_ranked(met, k), "near")
     bars = near.where(F.col("rank") == k).select("query_id", F.col("score").alias("bar"))
-    far = walks.where("turn >= 2").join(bars, "query_id", "left").select("leaf", "query_id", "q", F.coalesce("bar", F.lit(-2.0)).alias("bar"))
-    found = near.select("query_id", "vec_id", "score").unionByName(met(materialise(far, "far")))
+    folder = shared_dir(spark, "queries")
+    walks.join(bars, "query_id", "left").select("query_id", "q", "leaves", F.coalesce("bar", F.lit(-2.0)).alias("bar")).write.parquet(folder)
+    by_leaf = dealt.repartition("leaf", "vp").sortWithinPartitions("leaf", "vp").select("leaf", "vector", "ids")
+    found = near.select("query_id", "vec_id", "score").unionByName(_further(by_leaf, folder, width, k))
     return _ranked(found, k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")

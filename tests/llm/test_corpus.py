@@ -133,6 +133,27 @@ def test_neighbours_with_ties_and_mixed_widths(spark):
     assert all(np.isfinite(x) for own in got.values() for _, x in own)
 
 
+def test_walks_hold_one_row_a_query(spark, monkeypatch):
+    """However many leaves a query visits; pairs found in small pieces are those of brute force."""
+    v = np.random.default_rng(9).standard_normal((900, 6))
+    df = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(v)], "vec_id long, embedding array<double>")
+    rows, keep, further = {}, kmeans_tree.materialise, kmeans_tree._further
+
+    def counted(df, name):
+        out = keep(df, name)
+        rows[name] = out.count()
+        return out
+
+    monkeypatch.setattr(kmeans_tree, "materialise", counted)
+    monkeypatch.setattr(kmeans_tree, "_further", lambda *a: further(*a, chunk=100, block=7, piece=30, most=40))
+    got = defaultdict(list)
+    for r in kmeans_tree.neighbours(df, every=30, rows_a_leaf=10, recall=1.0).orderBy("query_id", "rank").collect():
+        got[r["query_id"]].append(r["vec_id"])
+    unit = v / np.linalg.norm(v, axis=1, keepdims=True)
+    want = {q: [i for i in np.argsort(-(unit @ unit[q])).tolist() if i != q][:5] for q in range(0, 900, 30)}
+    assert rows["walks"] == 30 and got == want
+
+
 def test_very_long_texts_are_whole(spark):
     """A text far beyond any block: every operator over texts sees its end."""
     rng = Random(12)
